@@ -9,6 +9,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -109,7 +110,7 @@ def batches_of(it: Iterator[pa.RecordBatch], limit: int = 4 << 20) -> Iterator[p
     for b in it:
         if not b.num_rows:
             continue
-        sizes = np.asarray(pa.compute.binary_length(b.column("text")).fill_null(0)).astype(np.int64) + 64
+        sizes = np.asarray(pc.binary_length(b.column("text")).fill_null(0)).astype(np.int64) + 64
         group = np.cumsum(sizes) // limit
         cuts = np.flatnonzero(np.diff(group)) + 1
         for lo, hi in zip([0, *cuts.tolist()], [*cuts.tolist(), b.num_rows]):

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from .decontamination import op5_suffix_array_decontamination
+from .language_model import op10_kneser_ney_scores
 from .packing import op9_sum_of_squares_packing
+from .quality_classifier import op8_kneser_ney_quality
 from .quality_rules import op1_ngram_likelihood_rules
 from .secrets import op3_markov_secret_scan
 from .sharding import op2_karmarkar_karp_sharding
 
-QUERIES = {f.__name__: f for f in (op1_ngram_likelihood_rules, op2_karmarkar_karp_sharding, op3_markov_secret_scan, op9_sum_of_squares_packing)}
+QUERIES = {f.__name__: f for f in (op1_ngram_likelihood_rules, op2_karmarkar_karp_sharding, op3_markov_secret_scan, op5_suffix_array_decontamination, op8_kneser_ney_quality, op9_sum_of_squares_packing, op10_kneser_ney_scores)}
 ORACLE_SQL: dict[str, str] = {}
