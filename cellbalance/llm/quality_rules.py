@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from .common import SPACE_CLASS, SPACES, documents, let, word_array
 
 BUCKETS = 8192
-THRESHOLD = -0.35
+THRESHOLD = -0.12
 SYMBOLS = "#*$%&|<>"
 WINDOW = 5
 
