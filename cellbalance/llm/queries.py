@@ -9,6 +9,7 @@ from .quality_classifier import op8_kneser_ney_quality
 from .quality_rules import op1_ngram_likelihood_rules
 from .secrets import op3_markov_secret_scan
 from .sharding import op2_karmarkar_karp_sharding
+from .substring_dedup import op4_fm_index_substring_dedup
 
-QUERIES = {f.__name__: f for f in (op1_ngram_likelihood_rules, op2_karmarkar_karp_sharding, op3_markov_secret_scan, op5_suffix_array_decontamination, op8_kneser_ney_quality, op9_sum_of_squares_packing, op10_kneser_ney_scores)}
+QUERIES = {f.__name__: f for f in (op1_ngram_likelihood_rules, op2_karmarkar_karp_sharding, op3_markov_secret_scan, op4_fm_index_substring_dedup, op5_suffix_array_decontamination, op8_kneser_ney_quality, op9_sum_of_squares_packing, op10_kneser_ney_scores)}
 ORACLE_SQL: dict[str, str] = {}
