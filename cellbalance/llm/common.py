@@ -153,3 +153,19 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         if jumped.filter("changed").isEmpty():
             return label.select("id", F.col("l").alias("component"))
     raise RuntimeError("components did not settle")
+
+
+# ---------------------------------------------------------------- joins with hot keys
+#: A key counts as hot above this share of all rows, so there are at most 1 / HOT of them.
+HOT = 1 / 4096
+
+
+def join_hot(left: DataFrame, right: DataFrame, key: str, n: str) -> DataFrame:
+    """``left`` inner-joined to ``right``, which has one row a key and the number ``n`` of left rows with it.
+
+    Hot keys, fewer than 1 / HOT, are broadcast; rows of other keys are shuffled. ``n`` isn't returned.
+    """
+    total = right.agg(F.coalesce(F.sum(n), F.lit(0))).first()[0]
+    is_hot = F.col(n) > F.lit(max(1000, int(total * HOT)))
+    hot, cold = right.filter(is_hot).drop(n), right.filter(~is_hot).drop(n)
+    return left.join(F.broadcast(hot), key).unionByName(left.join(F.broadcast(hot.select(key)), key, "left_anti").join(cold, key))
