@@ -328,9 +328,10 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """One document of each component, the one with the smallest id, with all columns; of repeated ids one row."""
-    kept = jaccard_components(docs).filter("doc_id = component_id or doc_id is null").select("doc_id").distinct()
-    return docs.join(kept, docs["doc_id"].eqNullSafe(kept["doc_id"]), "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
+    """One document of each component, the one with the smallest id, with all columns; of rows with one id, one. Rows with a null id stay."""
+    kept = jaccard_components(docs.filter("doc_id is not null")).filter("doc_id = component_id").select("doc_id").distinct()
+    one = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    return one.select(*docs.columns).unionByName(docs.filter("doc_id is null"))
 
 
 def op6_prefix_tree_join(spark: SparkSession, sf_dir: str) -> DataFrame:
