@@ -52,6 +52,16 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+#: Most labelled documents that a classifier is fitted on; their ids are broadcast.
+MAX_TRUSTED = 50_000
+
+
+def bounded_sample(labelled: DataFrame, most: int = MAX_TRUSTED) -> DataFrame:
+    """At most ``most`` distinct doc_ids, those of the smallest hashes: the same ones however the table is laid out."""
+    ids = labelled.select(F.col("doc_id").cast("long").alias("doc_id")).filter("doc_id is not null").distinct()
+    return ids.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
+
+
 def empty(spark: SparkSession, schema: str) -> DataFrame:
     return spark.createDataFrame([], schema)
 

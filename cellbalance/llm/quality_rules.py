@@ -1,7 +1,7 @@
 """Quality rules, native: counts of each document and the hashed n-gram log-likelihood ratio.
 
 Words and word pairs are hashed into ``BUCKETS`` buckets. Two multinomials over the buckets are counted over all documents
-in one pass, of the trusted ones (labelled quality 1) and of the raw corpus; with add-one smoothing they give one log ratio
+in one pass, of the trusted ones (labelled quality 1, a bounded sample of them) and of the raw corpus; with add-one smoothing they give one log ratio
 a bucket. A document's score is the mean log ratio of its n-grams, and ``kept`` is ``score >= threshold``: a fixed number,
 so the verdict depends on nothing but the text and the two multinomials. Without trusted documents every ratio is 0.
 
@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import SPACE_CLASS, SPACES, documents, let, word_array
+from .common import SPACE_CLASS, SPACES, bounded_sample, documents, let, word_array
 
 BUCKETS = 8192
 THRESHOLD = -0.12
@@ -31,8 +31,8 @@ def ngram_buckets(word_hash: Column, buckets: int) -> Column:
 
 def log_ratios(docs: DataFrame, trusted: DataFrame, buckets: int = BUCKETS) -> DataFrame:
     """One row, one array: ln(p_trusted / p_raw) of each bucket. ``trusted`` has doc_id."""
-    ids = trusted.select("doc_id").distinct()
-    marked = docs.select("doc_id", "text").join(ids.withColumn("good", F.lit(1)), "doc_id", "left")
+    ids = bounded_sample(trusted)
+    marked = docs.select("doc_id", "text").join(F.broadcast(ids.withColumn("good", F.lit(1))), "doc_id", "left")
     grams = marked.select("good", F.explode(let(F.transform(word_array(F.col("text")), lambda w: F.xxhash64(w)), lambda h: ngram_buckets(h, buckets))).alias("bucket"))
     counts = grams.groupBy("bucket").agg(F.count("*").alias("raw"), F.count("good").alias("good"))
     full = docs.sparkSession.range(buckets).select(F.col("id").cast("int").alias("bucket")).join(counts, "bucket", "left").fillna(0, ["raw", "good"])
