@@ -262,13 +262,15 @@ def reader(model: Model) -> Reader:
     return Reader(model)
 
 
-SCORED = "n_tokens long, n_known long, base_score double, score double"
+SCORED = {"n_tokens": "long", "n_known": "long", "base_score": "double", "score": "double"}
 
 
-def score(docs: DataFrame, model: Model) -> DataFrame:
-    """The columns of ``docs`` except ``text``, and n_tokens, n_known, base_score, score of the text."""
-    kept = [c for c in docs.columns if c != "text"]
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name != "text"), SCORED])
+def score(docs: DataFrame, model: Model, keep_text: bool = False, prefix: str = "") -> DataFrame:
+    """The columns of ``docs``, ``text`` only if asked for, and n_tokens, n_known, base_score, score of the text."""
+    kept = [c for c in docs.columns if c != "text" or keep_text]
+    added = [prefix + c for c in SCORED]
+    types = {f.name: f.dataType.simpleString() for f in docs.schema}
+    schema = ", ".join([*(f"`{c}` {types[c]}" for c in kept), *(f"`{c}` {t}" for c, t in zip(added, SCORED.values()))])
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lm = reader(model)
@@ -276,7 +278,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
             tokens, n = tokens_of(b.column("text").to_pylist())
             full, base, known = lm.token_scores(tokens, n)
             at = np.cumsum(n) - n
-            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in kept), pa.array(n), pa.array(np.add.reduceat(known.astype(np.int64), at)), pa.array(np.add.reduceat(base, at)), pa.array(np.add.reduceat(full, at))], names=[*kept, "n_tokens", "n_known", "base_score", "score"])
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in kept), pa.array(n), pa.array(np.add.reduceat(known.astype(np.int64), at)), pa.array(np.add.reduceat(base, at)), pa.array(np.add.reduceat(full, at))], names=[*kept, *added])
 
     return docs.mapInArrow(run, schema)
 
