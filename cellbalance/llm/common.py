@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import hashlib
 import tempfile
 import uuid
@@ -115,7 +116,7 @@ def window_hashes(h: np.ndarray, k: int) -> np.ndarray:
             size *= 2
 
 
-def batches_of(it: Iterator[pa.RecordBatch], limit: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def batches_of(it: Iterator[pa.RecordBatch], limit: int = 2 << 20) -> Iterator[pa.RecordBatch]:
     """Slices with about ``limit`` bytes of text (column ``text``), one row at least: memory stays bounded for any batch."""
     for b in it:
         if not b.num_rows:
@@ -125,6 +126,16 @@ def batches_of(it: Iterator[pa.RecordBatch], limit: int = 4 << 20) -> Iterator[p
         cuts = np.flatnonzero(np.diff(group)) + 1
         for lo, hi in zip([0, *cuts.tolist()], [*cuts.tolist(), b.num_rows]):
             yield b.slice(lo, hi - lo)
+    trim_memory()
+
+
+def trim_memory() -> None:
+    """Give freed memory back, so that a reused worker doesn't hold what an earlier task needed."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
 
 
 def sha256_hex(data: bytes) -> str:

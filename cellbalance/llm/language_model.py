@@ -38,7 +38,7 @@ from .common import batches_of, documents, new_path, word_hashes, words_of
 #: No word holds a space, so these hashes are of no word's bytes.
 END, BEGIN = (np.uint64(xxhash.xxh3_64_intdigest(b)) for b in (b" end", b" begin"))
 LOW32 = np.uint64(32)
-FLUSH_KEYS = 1_500_000
+FLUSH_KEYS = 600_000
 BLOCK = "shard int, kind string, keys binary, counts binary"
 
 
