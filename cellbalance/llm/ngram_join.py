@@ -3,14 +3,15 @@
 1. Texts become sets of hashed five-word shingles; equal sets are one class, whatever the number of copies.
 2. Global order of shingles: rare ones by hash, then those that are frequent inside some slice, by frequency. The list of
    frequent ones is bounded (``MAX_FREQUENT``); the order is a matter of speed, any order gives the same links.
-3. Two similar sets share a shingle among the first ``n - ceil(0.8 n) + 1`` of each. Classes that share none with another
-   class are done. In the others, the first class of each shared shingle becomes the centre of a star.
+3. With the first ``n - ceil(0.8 n) + l`` shingles of each set as its prefix, l = 1 + n div 20, two similar sets share at
+   least l prefix shingles (the smaller l of the two). Classes that share none with another class are done. In the others,
+   the first class of each shared shingle is a centre, and each class goes to the centre it meets most often.
 4. Each centre's block holds the ordered sets of its star as a prefix tree: shared beginnings are one path, a traversal
    with the centre's set keeps one partial overlap per path, and a subtree is left when the overlap plus the remaining
    lengths can't reach the bound of its smallest set.
-5. Links give components. What is left are pairs of different components that share such a shingle (with the positional
-   bound); they are joined by the same trees, and the components of all links are final. Pairs inside a component aren't
-   looked at: they can't change it. So a group of m near copies costs m comparisons, not m squared.
+5. Links give components. What is left are pairs of different components that share enough prefix shingles and are of
+   like size; they are joined by the same trees, and the components of all links are final. Pairs inside a component
+   aren't looked at: they can't change it. So a group of m near copies costs m comparisons, not m squared.
 
 Null and empty texts have no shingles and are linked with nothing. Rows that share a doc_id are one node. Extra columns are
 ignored. An empty table gives no rows.
@@ -31,8 +32,11 @@ SHINGLE = 5
 #: Similarity as a fraction, NUM / DEN.
 NUM, DEN = 4, 5
 #: Most shingles that are ordered by frequency, and how often one must occur in a slice of texts.
-MAX_FREQUENT = 1 << 16
-FREQUENT_IN_SLICE = 4
+MAX_FREQUENT = 1 << 17
+FREQUENT_IN_SLICE = 3
+SLICE_BYTES = 4 << 20
+#: A star is tried only with a centre that shares this part of the prefix; it is a matter of speed, step 5 finds the rest.
+STAR_SHARE = 0.25
 
 
 def shingles(text: str | None, k: int = SHINGLE) -> np.ndarray:
@@ -68,8 +72,13 @@ class Order:
         return s[by], rank[by]
 
 
+def least_shared(n):
+    """Prefix shingles that a similar set of this size or more must share."""
+    return 1 + n // 20
+
+
 def prefix_length(n: int) -> int:
-    return n - -(-NUM * n // DEN) + 1
+    return min(n, n - -(-NUM * n // DEN) + least_shared(n))
 
 
 def needed(a: int, b: int) -> int:
@@ -136,7 +145,7 @@ def _sets(docs: DataFrame) -> DataFrame:
     """(doc_id, n, sig) of documents; rows with a null sig report a shingle (doc_id) found n times in a slice."""
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches_of(it):
+        for b in batches_of(it, SLICE_BYTES):
             sets = [shingles(t) for t in b.column("text").to_pylist()]
             n = [len(s) for s in sets]
             sig = [signature(s) if len(s) else 0 for s in sets]
@@ -149,11 +158,11 @@ def _sets(docs: DataFrame) -> DataFrame:
 
 
 def _prefixes(docs: DataFrame, order) -> DataFrame:
-    """(token, sig, n, pos): the first shingles of each set; copies inside a slice once."""
+    """(token, sig, n): the first shingles of each set; copies inside a slice once."""
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rank = order.value
-        for b in batches_of(it):
+        for b in batches_of(it, SLICE_BYTES):
             seen, parts = set(), []
             for text in b.column("text").to_pylist():
                 s = shingles(text)
@@ -162,11 +171,11 @@ def _prefixes(docs: DataFrame, order) -> DataFrame:
                     continue
                 seen.add(sig)
                 p = prefix_length(len(s))
-                parts.append((rank.ordered(s)[0][:p].view(np.int64), np.full(p, sig, np.int64), np.full(p, len(s), np.int32), np.arange(p, dtype=np.int32)))
+                parts.append((rank.ordered(s)[0][:p].view(np.int64), np.full(p, sig, np.int64), np.full(p, len(s), np.int32)))
             if parts:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*parts)], names=["token", "sig", "n", "pos"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*parts)], names=["token", "sig", "n"])
 
-    return docs.select("text").mapInArrow(run, "token long, sig long, n int, pos int")
+    return docs.select("text").mapInArrow(run, "token long, sig long, n int")
 
 
 def _shared(prefixes: DataFrame) -> DataFrame:
@@ -174,7 +183,7 @@ def _shared(prefixes: DataFrame) -> DataFrame:
 
     Rows come sorted, so a group of any size passes through with one row held back.
     """
-    names = ["token", "sig", "n", "pos"]
+    names = ["token", "sig", "n"]
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, centre, sent = None, None, False  # last distinct row; first sig of its shingle; whether that row went out
@@ -204,9 +213,9 @@ def _shared(prefixes: DataFrame) -> DataFrame:
             tail_sent = bool(out[-1]) or (sent and len(token) == 1 and held is not None)
             held, centre, sent = [c[-1] for c in cols], centres[-1], tail_sent
             if out.any():
-                yield pa.RecordBatch.from_arrays([pa.array(cols[0][out].astype(np.int64)), pa.array(cols[1][out].astype(np.int64)), pa.array(cols[2][out].astype(np.int32)), pa.array(cols[3][out].astype(np.int32)), pa.array(centres[group][out].astype(np.int64))], names=[*names, "centre"])
+                yield pa.RecordBatch.from_arrays([pa.array(cols[0][out].astype(np.int64)), pa.array(cols[1][out].astype(np.int64)), pa.array(cols[2][out].astype(np.int32)), pa.array(centres[group][out].astype(np.int64))], names=[*names, "centre"])
 
-    return prefixes.repartition("token").sortWithinPartitions("token", "sig").mapInArrow(run, "token long, sig long, n int, pos int, centre long")
+    return prefixes.repartition("token").sortWithinPartitions("token", "sig").mapInArrow(run, "token long, sig long, n int, centre long")
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, order) -> DataFrame:
@@ -267,24 +276,30 @@ def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, order) -> D
 
 
 def _across(shared: DataFrame, label: DataFrame) -> DataFrame:
-    """Pairs of classes of different components that share a shingle within the positional bound."""
-    rows = shared.select("token", "sig", "n", "pos").join(label.select(F.col("id").alias("sig"), "component"), "sig", "left").withColumn("component", F.coalesce("component", "sig"))
+    """Pairs of classes of different components, of like size, that share enough prefix shingles."""
+    rows = shared.select("token", "sig", "n").join(label.select(F.col("id").alias("sig"), "component"), "sig", "left").withColumn("component", F.coalesce("component", "sig"))
     rows = table(rows, "labelled-prefixes")
     mixed = rows.groupBy("token").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x < y").select("token")
-    names = ["token", "sig", "n", "pos", "component"]
-
-    def pairs(cols: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
-        _, sig, n, pos, comp = cols
-        for i in range(len(sig) - 1):
-            a, b = np.minimum(n[i], n[i + 1 :]), np.maximum(n[i], n[i + 1 :])
-            most = 1 + np.minimum(n[i] - pos[i], n[i + 1 :] - pos[i + 1 :]) - 1
-            ok = np.flatnonzero((comp[i + 1 :] != comp[i]) & (DEN * a >= NUM * b) & (most >= -(-NUM * (a + b) // (NUM + DEN))))
+    names = ["token", "sig", "n", "component"]
+
+    def pairs(cols: list[np.ndarray]) -> Iterator[tuple[np.ndarray, ...]]:
+        _, sig, n, comp = cols
+        for i in range(len(sig) - 1):  # sorted by size: partners of like size follow at once
+            stop = int(np.searchsorted(n, n[i] * DEN // NUM, "right"))
+            ok = i + 1 + np.flatnonzero(comp[i + 1 : stop] != comp[i])
             if len(ok):
-                other = sig[i + 1 :][ok]
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(sig[i], other)), pa.array(np.maximum(sig[i], other))], names=["centre", "sig"])
+                other = sig[ok]
+                yield np.minimum(sig[i], other), np.maximum(sig[i], other), np.full(len(ok), least_shared(n[i]))
+
+    def counted(found: list) -> pa.RecordBatch:
+        x, y, least = (np.concatenate(c) for c in zip(*found))
+        order = np.lexsort((y, x))
+        x, y, least = x[order], y[order], least[order]
+        first = np.flatnonzero(np.concatenate([[True], (x[1:] != x[:-1]) | (y[1:] != y[:-1])]))
+        return pa.RecordBatch.from_arrays([pa.array(x[first]), pa.array(y[first]), pa.array(np.diff(np.append(first, len(x)))), pa.array(least[first])], names=["centre", "sig", "c", "least"])
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rest = None
+        rest, found, size = None, [], 0
         for b in it:
             cols = [np.asarray(b.column(c)).astype(np.int64) for c in names]
             if rest is not None:
@@ -293,13 +308,27 @@ def _across(shared: DataFrame, label: DataFrame) -> DataFrame:
                 continue
             cuts = np.flatnonzero(np.diff(cols[0])) + 1
             for lo, hi in zip([0, *cuts.tolist()], cuts.tolist()):
-                yield from pairs([c[lo:hi] for c in cols])
+                for f in pairs([c[lo:hi] for c in cols]):
+                    found.append(f)
+                    size += len(f[0])
+                    if size > 1_000_000:
+                        yield counted(found)
+                        found, size = [], 0
             last = int(cuts[-1]) if len(cuts) else 0
             rest = [c[last:] for c in cols]
         if rest is not None:
-            yield from pairs(rest)
+            for f in pairs(rest):
+                found.append(f)
+                size += len(f[0])
+                if size > 1_000_000:
+                    yield counted(found)
+                    found, size = [], 0
+        if found:
+            yield counted(found)
 
-    return rows.join(mixed, "token", "left_semi").select(*names).repartition("token").sortWithinPartitions("token", "sig").mapInArrow(run, "centre long, sig long").distinct()
+    met = rows.join(mixed, "token", "left_semi").select(*names).repartition("token").sortWithinPartitions("token", "n", "sig").mapInArrow(run, "centre long, sig long, c long, least long")
+    # n is the smaller size of the pair, so ``least`` is its bound
+    return met.groupBy("centre", "sig").agg(F.sum("c").alias("c"), F.min("least").alias("least")).filter("c >= least").select("centre", "sig")
 
 
 def jaccard_components(docs: DataFrame) -> DataFrame:
@@ -311,7 +340,9 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     sets = found.filter("sig is not null")
     classes = table(sets.filter("n > 0").groupBy("sig").agg(F.min("doc_id").alias("least"), F.count("*").alias("copies")), "set-classes")
     shared = table(_shared(_prefixes(docs, order)), "shared-prefixes")
-    stars = table(shared.filter("sig <> centre").select("sig", "centre").distinct(), "stars")
+    met = shared.filter("sig <> centre").groupBy("sig", "centre").agg(F.count("*").alias("c"), F.max("n").alias("n"))
+    often = met.filter(F.col("c") >= STAR_SHARE * (1 - NUM / DEN) * F.col("n"))
+    stars = table(often.groupBy("sig").agg(F.max(F.struct("c", "centre")).alias("x")).select("sig", "x.centre"), "stars")
     links = table(_verified(stars, docs, classes, order), "star-links")
     label = components(links)
     more = table(_across(shared, label).join(stars, ["centre", "sig"], "left_anti"), "cross-pairs")
