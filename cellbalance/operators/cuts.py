@@ -36,7 +36,7 @@ def cuts_nearest(scan: DataFrame, p: int) -> DataFrame:
     """
     lo = F.expr(f"greatest(1, (s_prev * {p} + total - 1) div nullif(total, 0))")
     hi = F.expr(f"least({p - 1}, (s * {p} + total - 1) div nullif(total, 0) - 1)")
-    reached = scan.select("pos", "s_prev", "s", "total", lo.alias("lo"), hi.alias("hi")).filter("lo <= hi")
+    reached = scan.select("pos", "s_prev", "s", "total", lo.alias("lo"), hi.alias("hi")).filter("total > 0 and lo <= hi")
     inner = reached.select(F.explode(F.sequence("lo", "hi")).alias("k"), "pos", "s_prev", "s", "total")
     inner = inner.select(F.col("k").cast("int").alias("k"), F.when(2 * F.col("k") * F.col("total") < p * (F.col("s_prev") + F.col("s")), F.col("pos") - 1).otherwise(F.col("pos")).alias("cut"))
     ends = _slots(scan.sparkSession, p).join(F.broadcast(inner), "k", "left")

@@ -85,8 +85,8 @@ def words_moved(method: str, n: int, p: int) -> Words:
 #: alpha: a round of messages, beta: a word into the busiest node, gamma: a unit of work on the critical path, all_to_all: a
 #: message of an all-to-all exchange. Presets that keep the orders found on the two machines.
 PRESETS = {
-    "slow_network": {"alpha": 2e-5, "beta": 1e-9, "gamma": 2e-9, "all_to_all": 4e-6},
-    "fast_network": {"alpha": 4e-5, "beta": 2e-8, "gamma": 4e-8, "all_to_all": 1e-7},
+    "slow_network": {"alpha": 2e-5, "beta": 1e-7, "gamma": 2e-8, "all_to_all": 4e-6},
+    "fast_network": {"alpha": 4e-5, "beta": 1e-7, "gamma": 4e-8, "all_to_all": 1e-7},
 }
 
 
@@ -98,5 +98,5 @@ def overhead_model(method: str, n: int, p: int, alpha: float, beta: float, gamma
     if method == "peer":
         return alpha * w.rounds + all_to_all * p + gamma * w.critical
     if method == "hybrid":
-        return alpha * w.rounds + beta * 2 * (w.gathered + p) + all_to_all * 0.1 * p + gamma * (w.critical + p)
+        return alpha * w.rounds + beta * 2 * (w.gathered + p) + gamma * (w.critical + p)
     return alpha * w.rounds + all_to_all * n + gamma * w.critical
