@@ -5,7 +5,8 @@
    frequent ones is bounded (``MAX_FREQUENT``); the order is a matter of speed, any order gives the same links.
 3. With the first ``n - ceil(0.8 n) + l`` shingles of each set as its prefix, l = 1 + n div 20, two similar sets share at
    least l prefix shingles (the smaller l of the two). Classes that share none with another class are done. In the others,
-   the first class of each shared shingle is a centre, and each class goes to the centre it meets most often.
+   the first class of each shared shingle is a centre, and each class goes to the centre it meets most often. Classes left
+   without a link try the second class of their shingles (``ROUNDS`` rounds in all).
 4. Each centre's block holds the ordered sets of its star as a prefix tree: shared beginnings are one path, a traversal
    with the centre's set keeps one partial overlap per path, and a subtree is left when the overlap plus the remaining
    lengths can't reach the bound of its smallest set.
@@ -33,10 +34,12 @@ SHINGLE = 5
 NUM, DEN = 4, 5
 #: Most shingles that are ordered by frequency, and how often one must occur in a slice of texts.
 MAX_FREQUENT = 1 << 17
-FREQUENT_IN_SLICE = 3
-SLICE_BYTES = 4 << 20
+FREQUENT_IN_SLICE = 2
+SLICE_BYTES = 8 << 20
 #: A star is tried only with a centre that shares this part of the prefix; it is a matter of speed, step 5 finds the rest.
 STAR_SHARE = 0.25
+#: Rounds of stars; classes without a link try another centre in each.
+ROUNDS = 2
 
 
 def shingles(text: str | None, k: int = SHINGLE) -> np.ndarray:
@@ -162,7 +165,7 @@ def _prefixes(docs: DataFrame, order) -> DataFrame:
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rank = order.value
-        for b in batches_of(it, SLICE_BYTES):
+        for b in batches_of(it, 4 << 20):
             seen, parts = set(), []
             for text in b.column("text").to_pylist():
                 s = shingles(text)
@@ -179,14 +182,14 @@ def _prefixes(docs: DataFrame, order) -> DataFrame:
 
 
 def _shared(prefixes: DataFrame) -> DataFrame:
-    """Prefix rows whose shingle is in two classes or more, with the first of these as centre.
+    """Prefix rows whose shingle is in two classes or more, with the first of these as centre and the row's place among them.
 
     Rows come sorted, so a group of any size passes through with one row held back.
     """
     names = ["token", "sig", "n"]
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, centre, sent = None, None, False  # last distinct row; first sig of its shingle; whether that row went out
+        held, centre, sent, at = None, None, False, 0  # last distinct row; first sig of its shingle; whether the row went out; its place
         for b in it:
             cols = [np.asarray(b.column(c)) for c in names]
             if not len(cols[0]):
@@ -205,17 +208,20 @@ def _shared(prefixes: DataFrame) -> DataFrame:
             if held is not None:
                 centres = np.concatenate([[centre], centres[1:]])
             size = np.bincount(group)
+            place = np.arange(len(token)) - np.flatnonzero(first)[group]
+            if held is not None:
+                place[group == 0] += at
             out = size[group] > 1
             if held is not None:
                 if sent:
                     out[group == 0] = True
                     out[0] = False
             tail_sent = bool(out[-1]) or (sent and len(token) == 1 and held is not None)
-            held, centre, sent = [c[-1] for c in cols], centres[-1], tail_sent
+            held, centre, sent, at = [c[-1] for c in cols], centres[-1], tail_sent, int(place[-1])
             if out.any():
-                yield pa.RecordBatch.from_arrays([pa.array(cols[0][out].astype(np.int64)), pa.array(cols[1][out].astype(np.int64)), pa.array(cols[2][out].astype(np.int32)), pa.array(centres[group][out].astype(np.int64))], names=[*names, "centre"])
+                yield pa.RecordBatch.from_arrays([pa.array(cols[0][out].astype(np.int64)), pa.array(cols[1][out].astype(np.int64)), pa.array(cols[2][out].astype(np.int32)), pa.array(centres[group][out].astype(np.int64)), pa.array(place[out].astype(np.int32))], names=[*names, "centre", "place"])
 
-    return prefixes.repartition("token").sortWithinPartitions("token", "sig").mapInArrow(run, "token long, sig long, n int, centre long")
+    return prefixes.repartition("token").sortWithinPartitions("token", "sig").mapInArrow(run, "token long, sig long, n int, centre long, place int")
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, order) -> DataFrame:
@@ -340,10 +346,20 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     sets = found.filter("sig is not null")
     classes = table(sets.filter("n > 0").groupBy("sig").agg(F.min("doc_id").alias("least"), F.count("*").alias("copies")), "set-classes")
     shared = table(_shared(_prefixes(docs, order)), "shared-prefixes")
-    met = shared.filter("sig <> centre").groupBy("sig", "centre").agg(F.count("*").alias("c"), F.max("n").alias("n"))
-    often = met.filter(F.col("c") >= STAR_SHARE * (1 - NUM / DEN) * F.col("n"))
-    stars = table(often.groupBy("sig").agg(F.max(F.struct("c", "centre")).alias("x")).select("sig", "x.centre"), "stars")
-    links = table(_verified(stars, docs, classes, order), "star-links")
+    links = stars = None
+    for r in range(ROUNDS):
+        if r == 0:
+            met = shared.filter("place > 0").select("sig", "centre", "n")
+        else:
+            linked = links.select(F.explode(F.array("a", "b")).alias("sig")).distinct()
+            alone = shared.filter(F.col("place") > r).select("token", "sig", "n").join(linked, "sig", "left_anti")
+            met = alone.join(shared.filter(F.col("place") == r).select("token", F.col("sig").alias("centre")), "token").select("sig", "centre", "n")
+        often = met.groupBy("sig", "centre").agg(F.count("*").alias("c"), F.max("n").alias("n")).filter(F.col("c") >= STAR_SHARE * (1 - NUM / DEN) * F.col("n"))
+        tried = table(often.groupBy("sig").agg(F.max(F.struct("c", "centre")).alias("x")).select("sig", "x.centre"), "stars")
+        if r and tried.isEmpty():
+            break
+        found = table(_verified(tried, docs, classes, order), "star-links")
+        stars, links = (tried, found) if r == 0 else (stars.unionByName(tried), links.unionByName(found))
     label = components(links)
     more = table(_across(shared, label).join(stars, ["centre", "sig"], "left_anti"), "cross-pairs")
     if not more.isEmpty():
