@@ -5,10 +5,11 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import udtf
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def slope_of(y: pd.Series, x: pd.Series) -> float:
     """Least-squares slope of y over x."""
     x = x.astype(float) - float(x.mean())
@@ -16,7 +17,7 @@ def slope_of(y: pd.Series, x: pd.Series) -> float:
     return float((x * (y - y.mean())).sum() / squared) if squared else 0.0
 
 
-@udtf(returnType="k int, b long")
+@udtf(returnType=T.StructType([T.StructField("k", T.IntegerType()), T.StructField("b", T.LongType())]))
 class NearestCuts:
     """Cut vector of one weight array; for lines that fit into a row."""
 

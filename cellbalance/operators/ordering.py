@@ -53,24 +53,26 @@ def lattice_order(cells: DataFrame, shape: tuple[int, int, int], kind: str = "ax
     if kind == "axis":
         return cells.select("cell_id", ((F.col("ix") * ny + F.col("iy")) * nz + F.col("iz") + 1).cast("long").alias("pos"))
 
-    # Each level halves every part's longest axis; a part's place is the number of cells before it: all closed form.
-    out = cells.select("cell_id", "ix", "iy", "iz", *(F.lit(0).alias(f"l{i}") for i in range(3)), *(F.lit(n).alias(f"n{i}") for i, n in enumerate(shape)), F.lit(0).cast("long").alias("before"))
-    index = ["ix", "iy", "iz"]
-    for _ in range(sum(max(0, int(n - 1)).bit_length() for n in shape)):
-        a = F.when((F.col("n0") >= F.col("n1")) & (F.col("n0") >= F.col("n2")), 0).when(F.col("n1") >= F.col("n2"), 1).otherwise(2)
-        out = out.withColumn("a", a)
-        half = F.expr("(case a when 0 then n0 when 1 then n1 else n2 end + 1) div 2")
-        out = out.withColumn("half", half.cast("int"))
-        place = F.when(F.col("a") == 0, F.col("ix") - F.col("l0")).when(F.col("a") == 1, F.col("iy") - F.col("l1")).otherwise(F.col("iz") - F.col("l2"))
-        out = out.withColumn("right", place >= F.col("half"))
-        others = F.when(F.col("a") == 0, F.col("n1") * F.col("n2")).when(F.col("a") == 1, F.col("n0") * F.col("n2")).otherwise(F.col("n0") * F.col("n1"))
-        changed = {"before": F.col("before") + F.when(F.col("right"), F.col("half") * others).otherwise(0)}
-        for i in range(3):
-            cut = F.col("a") == i
-            changed[f"l{i}"] = F.col(f"l{i}") + F.when(cut & F.col("right"), F.col("half")).otherwise(0)
-            changed[f"n{i}"] = F.when(cut, F.when(F.col("right"), F.col(f"n{i}") - F.col("half")).otherwise(F.col("half"))).otherwise(F.col(f"n{i}"))
-        out = out.withColumns(changed).select("cell_id", *index, "l0", "l1", "l2", "n0", "n1", "n2", "before")
-    return out.select("cell_id", (F.col("before") + 1).cast("long").alias("pos"))
+    # Each level halves every part's longest axis; a part's place is the number of cells before it. The levels are steps of
+    # one fold, so the expression doesn't grow with them.
+    levels = sum(max(0, int(n - 1)).bit_length() for n in shape)
+    start = F.struct(*(F.lit(0).alias(f"l{i}") for i in range(3)), *(F.lit(n).alias(f"n{i}") for i, n in enumerate(shape)), F.lit(0).cast("long").alias("before"))
+
+    def halve(s, _level):
+        def cut(axis: int):
+            low, n, at = s[f"l{axis}"], s[f"n{axis}"], F.col(("ix", "iy", "iz")[axis])
+            half = F.floor((n + 1) / 2).cast("int")
+            right = at - low >= half
+            area = [s[f"n{i}"] for i in range(3) if i != axis]
+            lows = [F.when(right, low + half).otherwise(low) if i == axis else s[f"l{i}"] for i in range(3)]
+            sizes = [F.when(right, n - half).otherwise(half) if i == axis else s[f"n{i}"] for i in range(3)]
+            before = s["before"] + F.when(right, (half * area[0] * area[1]).cast("long")).otherwise(F.lit(0).cast("long"))
+            return F.struct(*(c.cast("int").alias(f"l{i}") for i, c in enumerate(lows)), *(c.cast("int").alias(f"n{i}") for i, c in enumerate(sizes)), before.alias("before"))
+
+        return F.when((s["n0"] >= s["n1"]) & (s["n0"] >= s["n2"]), cut(0)).when(s["n1"] >= s["n2"], cut(1)).otherwise(cut(2))
+
+    before = F.aggregate(F.sequence(F.lit(1), F.lit(max(1, levels))), start, halve, lambda s: s["before"])
+    return cells.select("cell_id", (before + 1).cast("long").alias("pos"))
 
 
 def morton_code(columns: list[str], bits: int = 10) -> Column:
