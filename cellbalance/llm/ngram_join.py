@@ -5,14 +5,15 @@
    frequent ones is bounded (``MAX_FREQUENT``); the order is a matter of speed, any order gives the same links.
 3. With the first ``n - ceil(0.8 n) + l`` shingles of each set as its prefix, l = 1 + n div 20, two similar sets share at
    least l prefix shingles (the smaller l of the two). Classes that share none with another class are done. In the others,
-   the first class of each shared shingle is a centre, and each class goes to the centre it meets most often. Classes left
-   without a link try the second class of their shingles (``ROUNDS`` rounds in all).
+   the first class of each shared shingle is a centre, and each class goes to the centre it meets most often.
 4. Each centre's block holds the ordered sets of its star as a prefix tree: shared beginnings are one path, a traversal
    with the centre's set keeps one partial overlap per path, and a subtree is left when the overlap plus the remaining
    lengths can't reach the bound of its smallest set.
-5. Links give components. What is left are pairs of different components that share enough prefix shingles and are of
-   like size; they are joined by the same trees, and the components of all links are final. Pairs inside a component
-   aren't looked at: they can't change it. So a group of m near copies costs m comparisons, not m squared.
+5. The classes of one centre are a family. Families whose links give more than one component are dealt into chunks by hash,
+   every two chunks meet in a tile, and one chunk's tree is traversed with the other's sets, leaving subtrees that are in
+   the query's component already. A tile tells no more links than it has sets, so no pairs of a group are listed.
+6. What is left are pairs of different families and components that share enough prefix shingles and are of like size; they
+   are joined by the same trees, and the components of all links are final. Pairs inside a component can't change it.
 
 Null and empty texts have no shingles and are linked with nothing. Rows that share a doc_id are one node. Extra columns are
 ignored. An empty table gives no rows.
@@ -38,8 +39,8 @@ FREQUENT_IN_SLICE = 2
 SLICE_BYTES = 8 << 20
 #: A star is tried only with a centre that shares this part of the prefix; it is a matter of speed, step 5 finds the rest.
 STAR_SHARE = 0.25
-#: Rounds of stars; classes without a link try another centre in each.
-ROUNDS = 2
+#: Sets and shingles in a chunk of a family, on average.
+CHUNK_SETS, CHUNK_SHINGLES = 256, 1 << 18
 
 
 def shingles(text: str | None, k: int = SHINGLE) -> np.ndarray:
@@ -69,11 +70,16 @@ class Order:
         """The set in order, and sort keys: places in the order for comparisons (rare: 0 and the hash; frequent: 1 + rank)."""
         if not len(self.hash) or not len(s):
             return s, np.zeros(len(s), np.int64)
-        at = np.minimum(np.searchsorted(self.hash, s), len(self.hash) - 1)
-        rank = np.where(self.hash[at] == s, self.rank[at] + 1, 0)
+        rank = self.rank_of(s)
         by = np.argsort(rank, kind="stable")
         return s[by], rank[by]
 
+    def rank_of(self, s: np.ndarray) -> np.ndarray:
+        if not len(self.hash):
+            return np.zeros(len(s), np.int64)
+        at = np.minimum(np.searchsorted(self.hash, s), len(self.hash) - 1)
+        return np.where(self.hash[at] == s, self.rank[at] + 1, 0)
+
 
 def least_shared(n):
     """Prefix shingles that a similar set of this size or more must share."""
@@ -93,30 +99,34 @@ def needed(a: int, b: int) -> int:
 class PrefixTree:
     """Ordered sets in a path-compressed trie. Sets are given in lexicographic order of their places."""
 
-    __slots__ = ("run", "children", "ends", "least", "most", "depth")
+    __slots__ = ("run", "children", "ends", "least", "most", "depth", "group")
 
-    def __init__(self, places: list[np.ndarray], names: list, depth: int = 0):
-        """``places``: sets as ascending arrays of place numbers."""
+    def __init__(self, places: list[np.ndarray], names: list, depth: int = 0, groups: dict | None = None):
+        """``places``: sets as ascending arrays of place numbers. ``groups``: each name's group; without it, nothing is skipped."""
         first, last = places[0], places[-1]
         m = min(len(first), len(last)) - depth
         unlike = np.flatnonzero(first[depth : depth + m] != last[depth : depth + m])
         end = depth + (int(unlike[0]) if len(unlike) else m)
         self.run, self.depth = first[depth:end], end
         self.least, self.most = min(map(len, places)), max(map(len, places))
+        within = {groups[n] for n in names} if groups else ()
+        self.group = within.pop() if len(within) == 1 else None
         self.ends = [n for p, n in zip(places, names) if len(p) == end]
         self.children = []
         rest = [(p, n) for p, n in zip(places, names) if len(p) > end]
         start = 0
         for i in range(1, len(rest) + 1):
             if i == len(rest) or rest[i][0][end] != rest[start][0][end]:
-                self.children.append(PrefixTree([p for p, _ in rest[start:i]], [n for _, n in rest[start:i]], end))
+                self.children.append(PrefixTree([p for p, _ in rest[start:i]], [n for _, n in rest[start:i]], end, groups))
                 start = i
 
-    def similar(self, query: np.ndarray) -> list:
-        """Names of the sets similar to the query, an ascending array of place numbers."""
+    def similar(self, query: np.ndarray, skip=lambda group: False) -> list:
+        """Names of the sets similar to the query, an ascending array of place numbers; subtrees of one group may be skipped."""
         found, stack, q = [], [(self, 0)], len(query)
         while stack:
             node, overlap = stack.pop()
+            if node.group is not None and skip(node.group):
+                continue
             used = 0
             if len(node.run):
                 at = np.searchsorted(query, node.run)
@@ -131,16 +141,50 @@ class PrefixTree:
         return found
 
 
-def block_links(centre: np.ndarray, members: list[tuple[int, np.ndarray]], rank) -> list[int]:
-    """Members similar to the centre. ``rank`` gives the order's ranks of hashes."""
-    every = np.unique(np.concatenate([centre, *(s for _, s in members)]))
-    by = np.lexsort((every, rank(every)))
+def placed(sets: list[np.ndarray], rank) -> list[np.ndarray]:
+    """The sets as ascending place numbers in their common order. ``rank`` gives the order's ranks of hashes."""
+    every = np.unique(np.concatenate(sets))
     place = np.empty(len(every), np.int64)
-    place[by] = np.arange(len(every))
-    sets = [(n, np.sort(place[np.searchsorted(every, s)])) for n, s in members]
-    sets.sort(key=lambda x: x[1].astype(">i8").tobytes())
-    tree = PrefixTree([p for _, p in sets], [n for n, _ in sets])
-    return tree.similar(np.sort(place[np.searchsorted(every, centre)]))
+    place[np.lexsort((every, rank(every)))] = np.arange(len(every))
+    return [np.sort(place[np.searchsorted(every, s)]) for s in sets]
+
+
+def tree_of(sets: list[tuple[int, np.ndarray]], groups: dict | None = None) -> PrefixTree:
+    """Tree of (name, places)."""
+    by = sorted(sets, key=lambda x: x[1].astype(">i8").tobytes())
+    return PrefixTree([p for _, p in by], [n for n, _ in by], 0, groups)
+
+
+def block_links(centre: np.ndarray, members: list[tuple[int, np.ndarray]], rank) -> list[int]:
+    """Members similar to the centre."""
+    query, *places = placed([centre, *(s for _, s in members)], rank)
+    return tree_of([(n, p) for (n, _), p in zip(members, places)]).similar(query)
+
+
+def tile_links(members: list[tuple[int, int, int, np.ndarray]], rank) -> list[tuple[int, int]]:
+    """Links between two chunks, or within one, that join components. ``members``: (name, component, chunk, set)."""
+    parent: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        while (up := parent.get(x, x)) != x:
+            parent[x] = x = parent.get(up, up)
+        return x
+
+    places = placed([s for *_, s in members], rank)
+    component = {n: c for n, c, _, _ in members}
+    low = min(c for _, _, c, _ in members)
+    alone = all(c == low for _, _, c, _ in members)
+    tree = tree_of([(n, p) for (n, _, c, _), p in zip(members, places) if c == low], component)
+    out = []
+    for (name, own, chunk, _), p in zip(members, places):
+        if chunk == low and not alone:
+            continue
+        for other in tree.similar(p, lambda group: root(group) == root(own)):
+            a, b = root(own), root(component[other])
+            if a != b:
+                parent[a] = b
+                out.append((min(name, other), max(name, other)))
+    return out
 
 
 # ---------------------------------------------------------------- Spark
@@ -224,32 +268,43 @@ def _shared(prefixes: DataFrame) -> DataFrame:
     return prefixes.repartition("token").sortWithinPartitions("token", "sig").mapInArrow(run, "token long, sig long, n int, centre long, place int")
 
 
-def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, order) -> DataFrame:
-    """The pairs (centre, sig) that are links, by one prefix tree per centre."""
-    memberships = pairs.select(F.col("sig").alias("node"), "centre").unionByName(pairs.select(F.col("centre").alias("node"), "centre").distinct())
-    wanted = memberships.join(classes.select(F.col("sig").alias("node"), F.col("least").alias("doc_id")), "node").groupBy("doc_id", "node").agg(F.collect_list("centre").alias("centres"))
+def _blocks(memberships: DataFrame, docs: DataFrame, classes: DataFrame) -> DataFrame:
+    """(block, node, component, chunk, data) of ``memberships`` (node, block, component, chunk): each class's set in all its blocks."""
+    wanted = memberships.join(classes.select(F.col("sig").alias("node"), F.col("least").alias("doc_id")), "node").groupBy("doc_id", "node").agg(F.collect_list(F.struct("block", "component", "chunk")).alias("places"))
 
     def spread(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        types = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary())
         for b in batches_of(it):
-            rows = []
-            for node, text, centres in zip(b.column("node").to_pylist(), b.column("text").to_pylist(), b.column("centres").to_pylist()):
+            rows, size = [], 0
+            for node, text, places in zip(b.column("node").to_pylist(), b.column("text").to_pylist(), b.column("places").to_pylist()):
                 s = shingles(text)
                 if len(s) and signature(s) == node:  # another row may have the same id
                     data = s.tobytes()
-                    rows += [(c, node, data) for c in centres]
-            for i in range(0, len(rows), 2000):
-                part = rows[i : i + 2000]
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*part), (pa.int64(), pa.int64(), pa.binary()))], names=["centre", "node", "data"])
+                    for p in places:
+                        rows.append((p["block"], node, p["component"], p["chunk"], data))
+                        size += len(data)
+                        if size > SLICE_BYTES:
+                            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names=["block", "node", "component", "chunk", "data"])
+                            rows, size = [], 0
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names=["block", "node", "component", "chunk", "data"])
+
+    return docs.join(wanted, "doc_id").select("node", "text", "places").mapInArrow(spread, "block long, node long, component long, chunk int, data binary")
+
+
+def _rows(it: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
+    for b in it:
+        for lo in range(0, b.num_rows, 500):
+            part = b.slice(lo, 500)
+            yield from zip(*(part.column(c).to_pylist() for c in ("block", "node", "component", "chunk", "data")))
 
-    def join(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ranks = order.value
 
-        def rank(h: np.ndarray) -> np.ndarray:
-            if not len(ranks.hash):
-                return np.zeros(len(h), np.int64)
-            at = np.minimum(np.searchsorted(ranks.hash, h), len(ranks.hash) - 1)
-            return np.where(ranks.hash[at] == h, ranks.rank[at] + 1, 0)
+def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, order) -> DataFrame:
+    """The pairs (centre, sig) that are links, by one prefix tree per centre."""
+    memberships = pairs.select(F.col("sig").alias("node"), F.col("centre").alias("block")).unionByName(pairs.select(F.col("centre").alias("node"), F.col("centre").alias("block")).distinct())
 
+    def join(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rank = order.value.rank_of
         now, own, members, seen = None, None, [], set()
 
         def close() -> Iterator[pa.RecordBatch]:
@@ -258,44 +313,77 @@ def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, order) -> D
                 if found:
                     yield pa.RecordBatch.from_arrays([pa.array([now] * len(found), pa.int64()), pa.array(found, pa.int64())], names=["a", "b"])
 
-        for b in it:
-            for centre, node, data in zip(b.column("centre").to_pylist(), b.column("node").to_pylist(), b.column("data").to_pylist()):
-                if centre != now:
-                    yield from close()
-                    now, own, members, seen = centre, None, [], set()
-                if node in seen:
-                    continue
-                seen.add(node)
-                s = np.frombuffer(data, np.uint64)
-                if node == centre:
-                    own = s
-                else:
-                    members.append((node, s))
-                if len(members) >= 500 and own is not None:  # a large star is joined in parts
-                    yield from close()
-                    members = []
+        for centre, node, _, _, data in _rows(it):
+            if centre != now:
+                yield from close()
+                now, own, members, seen = centre, None, [], set()
+            if node in seen:
+                continue
+            seen.add(node)
+            s = np.frombuffer(data, np.uint64)
+            if node == centre:
+                own = s
+            else:
+                members.append((node, s))
+            if len(members) >= 500 and own is not None:  # a large star is joined in parts
+                yield from close()
+                members = []
         yield from close()
 
-    blocks = docs.join(wanted, "doc_id").select("node", "text", "centres").mapInArrow(spread, "centre long, node long, data binary")
+    blocks = _blocks(memberships.withColumn("component", F.lit(0).cast("long")).withColumn("chunk", F.lit(0)), docs, classes)
     # the centre's own set comes first in its block
-    return blocks.repartition("centre").sortWithinPartitions("centre", F.col("node") != F.col("centre")).mapInArrow(join, "a long, b long")
+    return blocks.repartition("block").sortWithinPartitions("block", F.col("node") != F.col("block")).mapInArrow(join, "a long, b long")
+
+
+def _within(nodes: DataFrame, docs: DataFrame, classes: DataFrame, order) -> DataFrame:
+    """Links (a, b) that join components inside families. ``nodes``: (node, n, family, component)."""
+    size = nodes.groupBy("family").agg(F.count("*").alias("m"), F.sum("n").alias("total"), F.min("component").alias("x"), F.max("component").alias("y")).filter("x < y")
+    chunks = size.select("family", F.greatest(F.ceil(F.col("m") / CHUNK_SETS), F.ceil(F.col("total") / CHUNK_SHINGLES)).cast("int").alias("chunks"), "m")
+    own = join_hot(nodes, table(chunks, "family-chunks"), "family", "m").withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
+    tiles = own.select("node", "family", "component", "chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("other"))
+    memberships = tiles.select("node", F.xxhash64("family", F.least("chunk", "other"), F.greatest("chunk", "other")).alias("block"), "component", "chunk")
+
+    def join(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rank = order.value.rank_of
+        now, members, seen = None, [], set()
+
+        def close() -> Iterator[pa.RecordBatch]:
+            found = tile_links(members, rank) if len(members) > 1 else []
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found)], names=["a", "b"])
+
+        for block, node, component, chunk, data in _rows(it):
+            if block != now:
+                yield from close()
+                now, members, seen = block, [], set()
+            if node not in seen:
+                seen.add(node)
+                members.append((node, component, chunk, np.frombuffer(data, np.uint64)))
+        yield from close()
+
+    return _blocks(memberships, docs, classes).repartition("block").sortWithinPartitions("block").mapInArrow(join, "a long, b long")
 
 
-def _across(shared: DataFrame, label: DataFrame) -> DataFrame:
-    """Pairs of classes of different components, of like size, that share enough prefix shingles."""
-    rows = shared.select("token", "sig", "n").join(label.select(F.col("id").alias("sig"), "component"), "sig", "left").withColumn("component", F.coalesce("component", "sig"))
-    rows = table(rows, "labelled-prefixes")
-    mixed = rows.groupBy("token").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x < y").select("token")
-    names = ["token", "sig", "n", "component"]
+def _across(shared: DataFrame, nodes: DataFrame) -> DataFrame:
+    """Pairs of classes of different families and components, of like size, that share enough prefix shingles."""
+    rows = shared.select("token", "sig", "n").join(nodes.select(F.col("node").alias("sig"), "family", "component"), "sig", "left")
+    rows = table(rows.withColumn("component", F.coalesce("component", "sig")).withColumn("family", F.coalesce("family", "sig")), "labelled-prefixes")
+    mixed = rows.groupBy("token").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.min("family").alias("u"), F.max("family").alias("v")).filter("x < y and u < v").select("token")
+    names = ["token", "sig", "n", "component", "family"]
 
     def pairs(cols: list[np.ndarray]) -> Iterator[tuple[np.ndarray, ...]]:
-        _, sig, n, comp = cols
-        for i in range(len(sig) - 1):  # sorted by size: partners of like size follow at once
-            stop = int(np.searchsorted(n, n[i] * DEN // NUM, "right"))
-            ok = i + 1 + np.flatnonzero(comp[i + 1 : stop] != comp[i])
+        _, sig, n, comp, fam = cols
+        kinds, which, size = np.unique(fam, return_inverse=True, return_counts=True)
+        if len(kinds) < 2:
+            return
+        large = which == size.argmax()  # pairs within the largest family aren't looked at
+        for i in np.flatnonzero(~large):  # sorted by size: partners of like size are neighbours
+            start, stop = int(np.searchsorted(n, -(-n[i] * NUM // DEN), "left")), int(np.searchsorted(n, n[i] * DEN // NUM, "right"))
+            near = np.arange(start, stop)
+            ok = near[(comp[start:stop] != comp[i]) & (fam[start:stop] != fam[i]) & (large[start:stop] | (near > i))]
             if len(ok):
                 other = sig[ok]
-                yield np.minimum(sig[i], other), np.maximum(sig[i], other), np.full(len(ok), least_shared(n[i]))
+                yield np.minimum(sig[i], other), np.maximum(sig[i], other), least_shared(np.minimum(n[i], n[ok]))
 
     def counted(found: list) -> pa.RecordBatch:
         x, y, least = (np.concatenate(c) for c in zip(*found))
@@ -346,22 +434,17 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     sets = found.filter("sig is not null")
     classes = table(sets.filter("n > 0").groupBy("sig").agg(F.min("doc_id").alias("least"), F.count("*").alias("copies")), "set-classes")
     shared = table(_shared(_prefixes(docs, order)), "shared-prefixes")
-    links = stars = None
-    for r in range(ROUNDS):
-        if r == 0:
-            met = shared.filter("place > 0").select("sig", "centre", "n")
-        else:
-            linked = links.select(F.explode(F.array("a", "b")).alias("sig")).distinct()
-            alone = shared.filter(F.col("place") > r).select("token", "sig", "n").join(linked, "sig", "left_anti")
-            met = alone.join(shared.filter(F.col("place") == r).select("token", F.col("sig").alias("centre")), "token").select("sig", "centre", "n")
-        often = met.groupBy("sig", "centre").agg(F.count("*").alias("c"), F.max("n").alias("n")).filter(F.col("c") >= STAR_SHARE * (1 - NUM / DEN) * F.col("n"))
-        tried = table(often.groupBy("sig").agg(F.max(F.struct("c", "centre")).alias("x")).select("sig", "x.centre"), "stars")
-        if r and tried.isEmpty():
-            break
-        found = table(_verified(tried, docs, classes, order), "star-links")
-        stars, links = (tried, found) if r == 0 else (stars.unionByName(tried), links.unionByName(found))
+    met = shared.filter("place > 0").groupBy("sig", "centre").agg(F.count("*").alias("c"), F.max("n").alias("n")).filter(F.col("c") >= STAR_SHARE * (1 - NUM / DEN) * F.col("n"))
+    stars = table(met.groupBy("sig").agg(F.max(F.struct("c", "centre")).alias("x"), F.max("n").alias("n")).select("sig", "n", "x.centre"), "stars")
+    links = table(_verified(stars.select("sig", "centre"), docs, classes, order), "star-links")
+    # a class without a centre is its own family's first
+    node = lambda of: of.join(components(links).withColumnRenamed("id", "node"), "node", "left").withColumn("component", F.coalesce("component", "node"))
+    families = stars.select(F.col("sig").alias("node"), F.col("n").cast("long").alias("n"), F.col("centre").alias("family"))
+    links = table(links.unionByName(_within(table(node(families), "families"), docs, classes, order)), "family-links")
+    own = stars.select(F.explode(F.array("sig", "centre")).alias("node")).unionByName(links.select(F.explode(F.array("a", "b")).alias("node"))).distinct()
     label = components(links)
-    more = table(_across(shared, label).join(stars, ["centre", "sig"], "left_anti"), "cross-pairs")
+    nodes = table(own.join(families.select("node", "family"), "node", "left").join(label.withColumnRenamed("id", "node"), "node", "left").select("node", F.coalesce("family", "node").alias("family"), F.coalesce("component", "node").alias("component")), "labelled-families")
+    more = table(_across(shared, nodes).join(stars, ["centre", "sig"], "left_anti"), "cross-pairs")
     if not more.isEmpty():
         extra = table(_verified(more, docs, classes, order), "cross-links")
         if not extra.isEmpty():
