@@ -12,8 +12,8 @@
 5. The classes of one centre are a family. Families whose links give more than one component are dealt into chunks by hash,
    every two chunks meet in a tile, and one chunk's tree is traversed with the other's sets, leaving subtrees that are in
    the query's component already. A tile tells no more links than it has sets, so no pairs of a group are listed.
-6. What is left are pairs of different families and components that share enough prefix shingles and are of like size; they
-   are joined by the same trees, and the components of all links are final. Pairs inside a component can't change it.
+6. What is left are links between families. A class that shares enough prefix shingles with all of a larger family together
+   is a query to that family's trees. The components of all links are final; pairs inside a component can't change it.
 
 Null and empty texts have no shingles and are linked with nothing. Rows that share a doc_id are one node. Extra columns are
 ignored. An empty table gives no rows.
@@ -39,6 +39,8 @@ FREQUENT_IN_SLICE = 2
 SLICE_BYTES = 8 << 20
 #: A star is tried only with a centre that shares this part of the prefix; it is a matter of speed, step 5 finds the rest.
 STAR_SHARE = 0.25
+#: Rounds in which classes and shingles that can't give a pair across families are left out, before families meet.
+CORE_ROUNDS = 2
 #: Sets and shingles in a chunk of a family, on average.
 CHUNK_SETS, CHUNK_SHINGLES = 256, 1 << 18
 
@@ -335,13 +337,8 @@ def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, order) -> D
     return blocks.repartition("block").sortWithinPartitions("block", F.col("node") != F.col("block")).mapInArrow(join, "a long, b long")
 
 
-def _within(nodes: DataFrame, docs: DataFrame, classes: DataFrame, order) -> DataFrame:
-    """Links (a, b) that join components inside families. ``nodes``: (node, n, family, component)."""
-    size = nodes.groupBy("family").agg(F.count("*").alias("m"), F.sum("n").alias("total"), F.min("component").alias("x"), F.max("component").alias("y")).filter("x < y")
-    chunks = size.select("family", F.greatest(F.ceil(F.col("m") / CHUNK_SETS), F.ceil(F.col("total") / CHUNK_SHINGLES)).cast("int").alias("chunks"), "m")
-    own = join_hot(nodes, table(chunks, "family-chunks"), "family", "m").withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
-    tiles = own.select("node", "family", "component", "chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("other"))
-    memberships = tiles.select("node", F.xxhash64("family", F.least("chunk", "other"), F.greatest("chunk", "other")).alias("block"), "component", "chunk")
+def _tiled(memberships: DataFrame, docs: DataFrame, classes: DataFrame, order) -> DataFrame:
+    """Links (a, b) that join components inside each block; sets of its lowest chunk are the tree, the others are queries."""
 
     def join(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rank = order.value.rank_of
@@ -364,65 +361,43 @@ def _within(nodes: DataFrame, docs: DataFrame, classes: DataFrame, order) -> Dat
     return _blocks(memberships, docs, classes).repartition("block").sortWithinPartitions("block").mapInArrow(join, "a long, b long")
 
 
+def _within(nodes: DataFrame, docs: DataFrame, classes: DataFrame, order) -> DataFrame:
+    """Links (a, b) that join components inside families. ``nodes``: (node, n, family, component)."""
+    size = nodes.groupBy("family").agg(F.count("*").alias("m"), F.sum("n").alias("total"), F.min("component").alias("x"), F.max("component").alias("y")).filter("x < y")
+    chunks = size.select("family", F.greatest(F.ceil(F.col("m") / CHUNK_SETS), F.ceil(F.col("total") / CHUNK_SHINGLES)).cast("int").alias("chunks"), "m")
+    own = join_hot(nodes, table(chunks, "family-chunks"), "family", "m").withColumn("chunk", F.pmod(F.xxhash64("node"), F.col("chunks")).cast("int"))
+    tiles = own.select("node", "family", "component", "chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("other"))
+    memberships = tiles.select("node", F.xxhash64("family", F.least("chunk", "other"), F.greatest("chunk", "other")).alias("block"), "component", "chunk")
+
+    return _tiled(memberships, docs, classes, order)
+
+
 def _across(shared: DataFrame, nodes: DataFrame) -> DataFrame:
-    """Pairs of classes of different families and components, of like size, that share enough prefix shingles."""
+    """Memberships in blocks of a family and the classes of smaller families that share enough prefix shingles with it."""
     rows = shared.select("token", "sig", "n").join(nodes.select(F.col("node").alias("sig"), "family", "component"), "sig", "left")
     rows = table(rows.withColumn("component", F.coalesce("component", "sig")).withColumn("family", F.coalesce("family", "sig")), "labelled-prefixes")
-    mixed = rows.groupBy("token").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.min("family").alias("u"), F.max("family").alias("v")).filter("x < y and u < v").select("token")
-    names = ["token", "sig", "n", "component", "family"]
-
-    def pairs(cols: list[np.ndarray]) -> Iterator[tuple[np.ndarray, ...]]:
-        _, sig, n, comp, fam = cols
-        kinds, which, size = np.unique(fam, return_inverse=True, return_counts=True)
-        if len(kinds) < 2:
-            return
-        large = which == size.argmax()  # pairs within the largest family aren't looked at
-        for i in np.flatnonzero(~large):  # sorted by size: partners of like size are neighbours
-            start, stop = int(np.searchsorted(n, -(-n[i] * NUM // DEN), "left")), int(np.searchsorted(n, n[i] * DEN // NUM, "right"))
-            near = np.arange(start, stop)
-            ok = near[(comp[start:stop] != comp[i]) & (fam[start:stop] != fam[i]) & (large[start:stop] | (near > i))]
-            if len(ok):
-                other = sig[ok]
-                yield np.minimum(sig[i], other), np.maximum(sig[i], other), least_shared(np.minimum(n[i], n[ok]))
-
-    def counted(found: list) -> pa.RecordBatch:
-        x, y, least = (np.concatenate(c) for c in zip(*found))
-        order = np.lexsort((y, x))
-        x, y, least = x[order], y[order], least[order]
-        first = np.flatnonzero(np.concatenate([[True], (x[1:] != x[:-1]) | (y[1:] != y[:-1])]))
-        return pa.RecordBatch.from_arrays([pa.array(x[first]), pa.array(y[first]), pa.array(np.diff(np.append(first, len(x)))), pa.array(least[first])], names=["centre", "sig", "c", "least"])
-
-    def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rest, found, size = None, [], 0
-        for b in it:
-            cols = [np.asarray(b.column(c)).astype(np.int64) for c in names]
-            if rest is not None:
-                cols = [np.concatenate(x) for x in zip(rest, cols)]
-            if not len(cols[0]):
-                continue
-            cuts = np.flatnonzero(np.diff(cols[0])) + 1
-            for lo, hi in zip([0, *cuts.tolist()], cuts.tolist()):
-                for f in pairs([c[lo:hi] for c in cols]):
-                    found.append(f)
-                    size += len(f[0])
-                    if size > 1_000_000:
-                        yield counted(found)
-                        found, size = [], 0
-            last = int(cuts[-1]) if len(cuts) else 0
-            rest = [c[last:] for c in cols]
-        if rest is not None:
-            for f in pairs(rest):
-                found.append(f)
-                size += len(f[0])
-                if size > 1_000_000:
-                    yield counted(found)
-                    found, size = [], 0
-        if found:
-            yield counted(found)
-
-    met = rows.join(mixed, "token", "left_semi").select(*names).repartition("token").sortWithinPartitions("token", "n", "sig").mapInArrow(run, "centre long, sig long, c long, least long")
-    # n is the smaller size of the pair, so ``least`` is its bound
-    return met.groupBy("centre", "sig").agg(F.sum("c").alias("c"), F.min("least").alias("least")).filter("c >= least").select("centre", "sig")
+    fewest = 1 + F.floor(F.ceil(F.col("n") * NUM / DEN) / 20)
+    for r in range(CORE_ROUNDS):
+        mixed = rows.groupBy("token").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.min("family").alias("u"), F.max("family").alias("v")).filter("x < y and u < v").select("token")
+        met = rows.join(mixed, "token", "left_semi")
+        # a class with fewer such shingles than its smallest partner asks for has no partner
+        enough = met.groupBy("sig").agg(F.count("*").alias("c"), F.max("n").alias("n")).filter(F.col("c") >= fewest).select("sig")
+        rows = table(met.join(enough, "sig", "left_semi"), f"core-{r}")
+    # a class of the smaller family shares no more with any class of the larger one than with all of that family together
+    size = rows.select("sig", "family").distinct().groupBy("family").agg(F.count("*").alias("m"))
+    sized = table(rows.join(size, "family"), "sized-families")
+    other = sized.select("token", F.col("family").alias("with"), F.struct("m", "family").alias("above")).distinct()
+    meets = sized.join(other, "token").filter(F.struct("m", "family") < F.col("above")).groupBy("sig", "with").agg(F.count("*").alias("c"), F.max("n").alias("n"))
+    meets = table(meets.filter(F.col("c") >= fewest).select("sig", "with"), "met-families")
+    nodes = rows.select("sig", "n", "family", "component").distinct()
+    visitors = meets.groupBy("with").agg(F.ceil(F.count("*") / CHUNK_SETS).cast("int").alias("groups"))
+    chunks = nodes.groupBy(F.col("family").alias("with")).agg(F.greatest(F.ceil(F.count("*") / CHUNK_SETS), F.ceil(F.sum("n") / CHUNK_SHINGLES)).cast("int").alias("chunks"))
+    plan = table(visitors.join(chunks, "with"), "visited-families")
+    part = lambda key, parts: F.pmod(F.xxhash64(key), F.col(parts)).cast("int")
+    every = lambda parts: F.explode(F.sequence(F.lit(0), F.col(parts) - 1))
+    hosts = nodes.withColumnRenamed("family", "with").join(plan, "with").select("sig", "component", "with", part("sig", "chunks").alias("i"), every("groups").alias("j"), F.lit(0).alias("chunk"))
+    guests = meets.join(plan, "with").join(nodes.select("sig", "component"), "sig").select("sig", "component", "with", every("chunks").alias("i"), part("sig", "groups").alias("j"), F.lit(1).alias("chunk"))
+    return hosts.unionByName(guests).select(F.col("sig").alias("node"), F.xxhash64("with", "i", "j").alias("block"), "component", "chunk")
 
 
 def jaccard_components(docs: DataFrame) -> DataFrame:
@@ -444,11 +419,9 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     own = stars.select(F.explode(F.array("sig", "centre")).alias("node")).unionByName(links.select(F.explode(F.array("a", "b")).alias("node"))).distinct()
     label = components(links)
     nodes = table(own.join(families.select("node", "family"), "node", "left").join(label.withColumnRenamed("id", "node"), "node", "left").select("node", F.coalesce("family", "node").alias("family"), F.coalesce("component", "node").alias("component")), "labelled-families")
-    more = table(_across(shared, nodes).join(stars, ["centre", "sig"], "left_anti"), "cross-pairs")
-    if not more.isEmpty():
-        extra = table(_verified(more, docs, classes, order), "cross-links")
-        if not extra.isEmpty():
-            label = components(links.unionByName(extra))
+    extra = table(_tiled(_across(shared, nodes), docs, classes, order), "cross-links")
+    if not extra.isEmpty():
+        label = components(links.unionByName(extra))
     # the smallest document of a component's classes
     labelled = table(classes.join(label.select(F.col("id").alias("sig"), "component"), "sig", "left").withColumn("component", F.coalesce("component", "sig")), "labelled-classes")
     smallest = labelled.groupBy("component").agg(F.min("least").alias("component_id"))
