@@ -337,3 +337,48 @@ def test_components(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(20)] + [(50, 40), (41, 50), (7, 7)], "a long, b long")
     got = {r["id"]: r["component"] for r in common.components(edges).collect()}
     assert got == {**{i: 0 for i in range(21)}, 40: 40, 41: 40, 50: 40}
+
+
+def _near(x, y):
+    """Whether the edit distance is at most a fifth of the longer line."""
+    most = max(len(x), len(y)) // 5
+    if abs(len(x) - len(y)) > most:
+        return False
+    row = list(range(len(y) + 1))
+    for i, c in enumerate(x, 1):
+        last, row = row, [i]
+        for j, d in enumerate(y, 1):
+            row.append(min(last[j] + 1, row[-1] + 1, last[j - 1] + (c != d)))
+        if min(row) > most:
+            return False
+    return row[-1] <= most
+
+
+def test_near_lines_against_all_pairs(spark):
+    rng = random.Random(3)
+    vocabulary = ["".join(rng.choices("abcdefghijklmnoprstuvwy", k=rng.randrange(3, 9))) for _ in range(3000)]
+    lines = []
+    for n in (4, 6, 10, 14, 20, 40):
+        for _ in range(12):
+            base = rng.choices(vocabulary, k=n)
+            lines.append(base)
+            for e in (1, max(1, n // 10), max(1, n // 5)):
+                changed = list(base)
+                for i in rng.sample(range(n), e):
+                    changed[i] = rng.choice(vocabulary)
+                lines.append(changed)
+    texts = sorted({" ".join(x) for x in lines})
+    docs = spark.createDataFrame([(i, i, t) for i, t in enumerate(texts)], "doc_id long, t long, text string")
+    parts = {x: x for x in texts}
+
+    def root(x):
+        while parts[x] != x:
+            x = parts[x]
+        return x
+
+    for i, x in enumerate(texts):
+        for y in texts[:i]:
+            if _near(x, y):
+                parts[root(x)] = root(y)
+    assert len(texts) - len({root(x) for x in texts}) > 100
+    assert line_dedup.removed_lines(docs).count() == len(texts) - len({root(x) for x in texts})
