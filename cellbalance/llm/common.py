@@ -151,37 +151,32 @@ def sha256_hex(data: bytes) -> str:
 
 
 # ---------------------------------------------------------------- connected components
-def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """(id, component) for every id in ``edges(a, b)``; component = smallest id reachable.
 
-    Rounds of minimum over neighbours followed by pointer jumping, on DataFrames only; labels stay distributed and
-    each round's table is written to the shared folder. Ids without edges aren't returned.
+    Rounds of large stars and small stars, on DataFrames only: each node hands its larger neighbours, then the others, to
+    the smallest of its neighbourhood, until every group is a star. Rounds grow with the logarithm of a group's size. Edges
+    stay distributed and each round's table is written to the shared folder. Ids without edges aren't returned.
     """
-    both = table(
-        edges.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b"))
-        .filter("a <> b")
-        .select(F.explode(F.array(F.struct("a", "b"), F.struct(F.col("b").alias("a"), F.col("a").alias("b")))).alias("e"))
-        .select("e.a", "e.b")
-        .distinct(),
-        "cc-edges",
-    )
-    label = table(both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("l")).select(F.col("a").alias("id"), "l"), "cc-0")
-    for r in range(max_rounds):
-        near = (
-            both.join(label.select(F.col("id").alias("b"), F.col("l").alias("nl")), "b")
-            .groupBy(F.col("a").alias("id"))
-            .agg(F.min("nl").alias("m"))
-        )
-        stepped = label.join(near, "id").select("id", "l", F.least("l", "m").alias("m"))
-        # pointer jumping: the label of the label, which is an id of the graph itself
-        jumped = table(
-            stepped.join(label.select(F.col("id").alias("m"), F.col("l").alias("ll")), "m", "left").select("id", F.least("m", F.coalesce("ll", "m")).alias("l"), (F.least("m", F.coalesce("ll", "m")) < F.col("l")).alias("changed")),
-            f"cc-{r + 1}",
-        )
-        label = jumped.select("id", "l")
-        if jumped.filter("changed").isEmpty():
-            return label.select("id", F.col("l").alias("component"))
-    raise RuntimeError("components did not settle")
+    pairs = edges.select(F.greatest(F.col("a").cast("long"), F.col("b").cast("long")).alias("a"), F.least(F.col("a").cast("long"), F.col("b").cast("long")).alias("b"))
+    star = table(pairs.filter("a <> b").distinct(), "cc-0")  # a > b
+    mark = lambda df: tuple(df.agg(F.count("*"), F.coalesce(F.bit_xor(F.xxhash64("a", "b")), F.lit(0)), F.coalesce(F.sum(F.xxhash64("b", "a").bitwiseAND(0xFFFFFFFF)), F.lit(0))).first())
+    seen, r = mark(star), 0
+    while True:
+        r += 1
+        both = star.unionByName(star.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
+        large = table(both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct(), f"cc-{r}-large")
+        # every edge now hangs from its larger end
+        least = large.groupBy("a").agg(F.min("b").alias("m"))
+        moved = large.join(least, "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("e")).select("e.a", "e.b")
+        star = table(moved.filter("a <> b").distinct(), f"cc-{r}")
+        now = mark(star)
+        if now == seen:
+            break
+        seen = now
+    roots = star.select(F.col("b").alias("id")).distinct().withColumn("component", F.col("id"))
+    return star.select(F.col("a").alias("id"), F.col("b").alias("component")).unionByName(roots)
 
 
 # ---------------------------------------------------------------- joins with hot keys

@@ -382,3 +382,13 @@ def test_near_lines_against_all_pairs(spark):
                 parts[root(x)] = root(y)
     assert len(texts) - len({root(x) for x in texts}) > 100
     assert line_dedup.removed_lines(docs).count() == len(texts) - len({root(x) for x in texts})
+
+
+def test_components_of_long_chains(spark):
+    rng = random.Random(11)
+    ids = [rng.randrange(-(1 << 62), 1 << 62) for _ in range(3000)]
+    chain, other = ids[:2500], ids[2500:]
+    edges = [(c[i], c[i + d]) for c, reach in ((chain, 1), (other, 2)) for i in range(len(c)) for d in range(1, reach + 1) if i + d < len(c)]
+    rng.shuffle(edges)
+    got = {r["id"]: r["component"] for r in common.components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert got == {i: min(c) for c in (chain, other) for i in c}
