@@ -13,6 +13,8 @@ from __future__ import annotations
 
 import base64
 import functools
+import json
+import re
 import zlib
 from collections.abc import Iterator
 
@@ -32,7 +34,7 @@ CACHE_ENTRIES = 300_000
 class FastIds:
     """Ids of the byte-level vocabulary as little-endian uint32 bytes.
 
-    A text is cut before each single space; such a cut is always a cut of the vocabulary's own splitting rule, unless a
+    Texts are split at the added tokens of the vocabulary's JSON file, which have ids of their own. What lies between is cut before each single space; such a cut is always a cut of the vocabulary's own splitting rule, unless a
     chunk is white space only, in which case the text is encoded as a whole. Chunks are remembered.
     """
 
@@ -42,12 +44,25 @@ class FastIds:
 
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(ranks_path, "rb"))}
         self._encode = tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+        added = json.load(open(ranks_path.removesuffix(".tiktoken") + ".json", encoding="utf-8")).get("added_tokens", [])
+        self._added = {t["content"]: np.asarray([t["id"]], dtype="<u4").tobytes() for t in added}
+        # of tokens that start at the same place the longest counts
+        self._split = re.compile("(" + "|".join(map(re.escape, sorted(self._added, key=len, reverse=True))) + ")").split if added else None
         self._known: dict[str, bytes | None] = {}
 
+    def _parts(self, text: str, plain) -> bytes:
+        if not any(token in text for token in self._added):
+            return plain(text)
+        parts = self._split(text)  # texts and tokens take turns
+        return b"".join(self._added[p] if i % 2 else plain(p) for i, p in enumerate(parts) if p)
+
     def _whole(self, text: str) -> bytes:
-        return np.asarray(self._encode(text), dtype="<u4").tobytes()
+        return self._parts(text, lambda t: np.asarray(self._encode(t), dtype="<u4").tobytes())
 
     def __call__(self, text: str) -> bytes:
+        return self._parts(text, self._plain)
+
+    def _plain(self, text: str) -> bytes:
         if len(self._known) > CACHE_ENTRIES:
             self._known.clear()
         known = self._known

@@ -392,3 +392,13 @@ def test_components_of_long_chains(spark):
     rng.shuffle(edges)
     got = {r["id"]: r["component"] for r in common.components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert got == {i: min(c) for c in (chain, other) for i in c}
+
+
+@pytest.mark.parametrize("text", ["<|endoftext|> hi", "a <|endoftext|>", "x<|endoftext|><|endoftext|>  y", "<|endoftext|>", " \n<|endoftext|>\n z", "<|endoftext |> <|endoftext|"])
+def test_added_tokens_as_tokenizers_has_them(text):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    want = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json")).encode(text, add_special_tokens=False).ids
+    ids = packing.FastIds(public_tokenizers.path("byte_bpe_50k.tiktoken"))
+    assert ids(text) == ids._whole(text) == np.asarray(want, "<u4").tobytes()
