@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from .common import SPACE_CLASS, SPACES, bounded_sample, documents, let, word_array
 
-BUCKETS = 8192
+BUCKETS = 65_536
 THRESHOLD = -0.12
 SYMBOLS = "#*$%&|<>"
 WINDOW = 5

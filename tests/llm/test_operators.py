@@ -402,3 +402,16 @@ def test_added_tokens_as_tokenizers_has_them(text):
     want = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json")).encode(text, add_special_tokens=False).ids
     ids = packing.FastIds(public_tokenizers.path("byte_bpe_50k.tiktoken"))
     assert ids(text) == ids._whole(text) == np.asarray(want, "<u4").tobytes()
+
+
+def test_likelihood_ratio_on_held_out_labels(spark):
+    from pyspark.sql import functions as F
+
+    sf = SF.replace("sf0.001", "sf0.1")
+    labels = spark.read.parquet(f"{sf}/labels.parquet").select("doc_id", "quality").withColumn("train", F.pmod(F.xxhash64("doc_id"), F.lit(2)) == 0)
+    trusted = labels.filter("quality = 1 and train").select("doc_id")
+    scored = quality_rules.quality(common.documents(spark, sf), trusted).select("doc_id", "base_failed", "kept").join(labels.filter("quality = 0 or not train"), "doc_id")
+    seen = {r["quality"]: r for r in scored.groupBy("quality").agg(F.count("*").alias("n"), F.count_if("kept").alias("kept"), F.count_if(~F.col("kept") & ~F.col("base_failed")).alias("by_score")).collect()}
+    print(seen)
+    assert seen[0]["n"] > 500 and seen[1]["n"] > 1500
+    assert seen[0]["kept"] <= 0.03 * seen[0]["n"] and seen[1]["by_score"] <= 0.02 * seen[1]["n"]
