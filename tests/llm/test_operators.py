@@ -415,3 +415,15 @@ def test_likelihood_ratio_on_held_out_labels(spark):
     print(seen)
     assert seen[0]["n"] > 500 and seen[1]["n"] > 1500
     assert seen[0]["kept"] <= 0.03 * seen[0]["n"] and seen[1]["by_score"] <= 0.02 * seen[1]["n"]
+
+
+def test_families_of_one_template(spark):
+    rng = random.Random(9)
+    field = lambda: "".join(rng.choices("bcdfghjklmnpqrstvwxz", k=16))
+    spoil = lambda w, i: w[:i] + "a" + w[i + 1 :]
+    # lines of a family have no run of words of their own in common: each field has its own typo
+    families = [[(spoil(x, i), spoil(y, i)) for i in range(3)] for x, y in ((field(), field()) for _ in range(20))]
+    texts = [f"alpha beta gamma {x} delta epsilon zeta {y} eta theta iota" for f in families for x, y in f]
+    assert _near(texts[0], texts[1]) and not any(_near(texts[0], t) for t in texts[3:])
+    docs = spark.createDataFrame([(i, i, t) for i, t in enumerate(texts)], "doc_id long, t long, text string")
+    assert sorted(r["doc_id"] for r in line_dedup.removed_lines(docs).collect()) == [i for i in range(60) if i % 3]
