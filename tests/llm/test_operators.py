@@ -427,3 +427,10 @@ def test_families_of_one_template(spark):
     assert _near(texts[0], texts[1]) and not any(_near(texts[0], t) for t in texts[3:])
     docs = spark.createDataFrame([(i, i, t) for i, t in enumerate(texts)], "doc_id long, t long, text string")
     assert sorted(r["doc_id"] for r in line_dedup.removed_lines(docs).collect()) == [i for i in range(60) if i % 3]
+
+
+def test_long_lines_of_few_words(spark):
+    script = "これは空白のない長い行であり文字で数えられるべきものです"
+    texts = [script, script + "\nsome ordinary words here", "Extraordinarily,  incomprehensible", "extraordinarily incomprehensible", script.replace("長", "短")]
+    docs = spark.createDataFrame([(i, i, t) for i, t in enumerate(texts)], "doc_id long, t long, text string")
+    assert {(r["doc_id"], *r["gone"]) for r in line_dedup.removed_lines(docs).collect()} == {(1, 0), (3, 0), (4, 0)}
