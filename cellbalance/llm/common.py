@@ -51,10 +51,20 @@ def table(df: DataFrame, name: str) -> DataFrame:
     held = spark.conf.get(_CLEANUP, None)
     spark.conf.set(_CLEANUP, "true")  # this write's shuffle files aren't needed once the table stands
     try:
-        df.write.parquet(path)
+        df.write.option("compression", "zstd").parquet(path)
     finally:
         spark.conf.unset(_CLEANUP) if held is None else spark.conf.set(_CLEANUP, held)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.shared_path = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete written tables that nothing reads any more. What is returned to the caller must not be built on them."""
+    for t in tables:
+        context = t.sparkSession.sparkContext
+        where = context._jvm.org.apache.hadoop.fs.Path(t.shared_path)
+        where.getFileSystem(context._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:

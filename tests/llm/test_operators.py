@@ -434,3 +434,28 @@ def test_long_lines_of_few_words(spark):
     texts = [script, script + "\nsome ordinary words here", "Extraordinarily,  incomprehensible", "extraordinarily incomprehensible", script.replace("長", "短")]
     docs = spark.createDataFrame([(i, i, t) for i, t in enumerate(texts)], "doc_id long, t long, text string")
     assert {(r["doc_id"], *r["gone"]) for r in line_dedup.removed_lines(docs).collect()} == {(1, 0), (3, 0), (4, 0)}
+
+
+@pytest.mark.parametrize("others", [0, 20_000])
+def test_line_recall_does_not_depend_on_the_number_of_lines(spark, others):
+    rng = random.Random(17)
+    vocabulary = ["".join(rng.choices("abcdefghijklmnoprstuvwy", k=rng.randrange(3, 9))) for _ in range(4000)]
+    typo = lambda w: w[:-1] + ("z" if w[-1] != "z" else "x")
+    texts, near = [], Counter()
+    for n in (8, 12, 20, 40):
+        for e in (1, 2):
+            for swap in (False, True):
+                for _ in range(30):
+                    base = rng.choices(vocabulary, k=n)
+                    changed = list(base)
+                    for i in rng.sample(range(n), e):
+                        changed[i] = rng.choice(vocabulary) if swap else typo(changed[i])
+                    if _near(" ".join(base), " ".join(changed)):
+                        near[n, e] += 1
+                        texts += [(len(texts), " ".join(base)), (len(texts) + 1, " ".join(changed))]
+    more = [(10_000 + i, " ".join(rng.choices(vocabulary, k=rng.randrange(6, 30)))) for i in range(others)]
+    docs = spark.createDataFrame([(i, i, t) for i, t in texts + more], "doc_id long, t long, text string")
+    gone = {r["doc_id"] for r in line_dedup.removed_lines(docs).collect()}
+    assert all(near[n, e] >= 10 for n in (8, 12, 20, 40) for e in (1, 2))
+    found = sum(i in gone for i, _ in texts if i % 2)
+    assert found >= 0.98 * len(texts) / 2 and not any(i in gone for i, _ in texts if i % 2 == 0) and not any(i >= 10_000 for i in gone)
