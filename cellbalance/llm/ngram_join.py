@@ -25,7 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import batches_of, components, documents, join_hot, mix, table, window_hashes, word_hashes, words_of
@@ -422,6 +422,11 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     extra = table(_tiled(_across(shared, nodes), docs, classes, order), "cross-links")
     if not extra.isEmpty():
         label = components(links.unionByName(extra))
+    # rows that share a doc_id are one node: their classes are linked
+    several = sets.filter("n > 0").groupBy("doc_id").agg(F.min("sig").alias("x"), F.max("sig").alias("y")).filter("x <> y").select("doc_id", "x")
+    same = table(sets.filter("n > 0").join(several, "doc_id").filter("sig <> x").select(F.col("sig").alias("a"), F.col("x").alias("b")).distinct(), "same-ids")
+    if not same.isEmpty():
+        label = components(links.unionByName(extra).unionByName(same))
     # the smallest document of a component's classes
     labelled = table(classes.join(label.select(F.col("id").alias("sig"), "component"), "sig", "left").withColumn("component", F.coalesce("component", "sig")), "labelled-classes")
     smallest = labelled.groupBy("component").agg(F.min("least").alias("component_id"))
@@ -431,10 +436,13 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """One document of each component, the one with the smallest id, with all columns; of rows with one id, one. Rows with a null id stay."""
-    kept = jaccard_components(docs.filter("doc_id is not null")).filter("doc_id = component_id").select("doc_id").distinct()
-    one = docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return one.select(*docs.columns).unionByName(docs.filter("doc_id is null"))
+    """One document of each component, the one with the smallest id, with all columns; of rows with one id the one with the first text,
+    and of those the one whose other columns come first as JSON. Rows with a null id stay."""
+    ids = F.col("doc_id").cast("long")
+    kept = jaccard_components(docs.filter(ids.isNotNull())).filter("doc_id = component_id").select(F.col("doc_id").alias("kept document")).distinct()
+    one = docs.join(kept, ids == F.col("kept document"), "left_semi")
+    first = Window.partitionBy(ids).orderBy("text", F.to_json(F.struct(*docs.columns)))
+    return one.withColumn("place among rows", F.row_number().over(first)).filter(F.col("place among rows") == 1).select(*docs.columns).unionByName(docs.filter(ids.isNull()))
 
 
 def op6_prefix_tree_join(spark: SparkSession, sf_dir: str) -> DataFrame:

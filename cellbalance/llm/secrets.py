@@ -1,11 +1,11 @@
 """Secret scans: fixed patterns, and character Markov models of random strings and of ordinary identifiers.
 
-Every run of ``[A-Za-z0-9+/_=-]`` with 16 characters or more is scored by the log-likelihood ratio of two models of third
-order (each character given the two before it, add-half smoothing), trained from labelled samples. Runs whose mean ratio
+Every run of ``[A-Za-z0-9+/_=-]`` with 16 characters or more is scored by the log-likelihood ratio of two models of second
+order (each character given the two before it, with interpolated smoothing), trained from labelled samples. Runs whose mean ratio
 reaches the threshold become spans of kind ``markov``; the patterns' own spans always stay. Matching is done on whole texts
 in Python workers, batch by batch; nothing is shuffled.
 
-Null and empty texts have no spans. Repeated rows give repeated results. Extra columns are ignored.
+Null and empty texts have no spans, texts of any length are scanned whole, an empty table gives no rows. Repeated rows give repeated results. Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -162,8 +162,8 @@ def scan(docs: DataFrame, model: MarkovRatio, threshold: float = THRESHOLD) -> D
 
 
 def labelled_samples(spark: SparkSession, sf_dir: str) -> tuple[list[str], list[str]]:
-    """Random strings, and identifiers joined from words of the benchmark's first ``MAX_SAMPLES`` distinct words."""
-    words = spark.read.parquet(f"{sf_dir}/benchmark.parquet").select(F.explode(F.split("text", r"[^A-Za-z]+")).alias("w")).filter(F.length("w") > 1).distinct().orderBy("w").limit(MAX_SAMPLES)
+    """Random strings, and identifiers joined from at most ``MAX_SAMPLES`` distinct words of the benchmark, those of the smallest hashes."""
+    words = spark.read.parquet(f"{sf_dir}/benchmark.parquet").select(F.explode(F.split("text", r"[^A-Za-z]+")).alias("w")).filter(F.length("w") > 1).distinct().orderBy(F.xxhash64("w"), "w").limit(MAX_SAMPLES)
     return random_samples(), identifier_samples([r[0] for r in words.collect()])
 
 

@@ -8,7 +8,8 @@
    part of one with the lightest of the other. The items' shards, of a proven size, are broadcast to the documents.
 4. Slots are gapless by counting (shard, cell) pairs and adding offsets, never by one window over a shard.
 
-Null texts count as empty. Repeated rows are rows of their own. An empty table gives no rows; extra columns are ignored.
+Null texts count as empty, texts of any length by all their bytes. Equal sizes are taken in the order of hash and bundle number.
+Repeated rows are rows of their own. An empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -52,13 +53,14 @@ def difference(sizes: list[int], shards: int) -> list[int]:
     return out
 
 
-def shard_documents(docs: DataFrame, shards: int = 16) -> DataFrame:
-    """Every document's shard, by near-equal bytes, and its gapless slot there."""
+def shard_documents(docs: DataFrame, shards: int = 16, bundles: int | None = BUNDLES) -> DataFrame:
+    """Every document's shard, by near-equal bytes, and its gapless slot there. With ``bundles=None`` each group is an item of its own: the
+    exact method, for tables whose groups fit into one task."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("g"))
     groups = table(rows.groupBy("g").agg(F.sum("size").alias("size")), "kk-groups")
     total = groups.agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]
-    bundle = F.pmod(F.shiftright("g", 3), F.lit(BUNDLES)).cast("long")
+    bundle = F.col("g") if bundles is None else F.pmod(F.shiftright("g", 3), F.lit(bundles)).cast("long")
     heavy = F.col("size") * HEAVY > F.lit(total)
     # item: a heavy group by its hash, a bundle by its number
     items = groups.groupBy(heavy.alias("heavy"), F.when(heavy, F.col("g")).otherwise(bundle).alias("item")).agg(F.sum("size").alias("size"))
@@ -76,7 +78,7 @@ def shard_documents(docs: DataFrame, shards: int = 16) -> DataFrame:
     sharded = (
         rows.withColumn("bundle", bundle)
         .join(F.broadcast(hot), "g", "left")
-        .join(F.broadcast(cold), "bundle", "left")
+        .join(cold if bundles is None else F.broadcast(cold), "bundle", "left")
         .select("doc_id", "size", "text_crc32", F.coalesce("hot_shard", "cold_shard").alias("shard"), F.pmod(F.xxhash64("doc_id"), F.lit(SLOT_CELLS)).cast("int").alias("cell"))
     )
     sharded = table(sharded, "kk-sharded")

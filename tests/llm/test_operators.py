@@ -459,3 +459,67 @@ def test_line_recall_does_not_depend_on_the_number_of_lines(spark, others):
     assert all(near[n, e] >= 10 for n in (8, 12, 20, 40) for e in (1, 2))
     found = sum(i in gone for i, _ in texts if i % 2)
     assert found >= 0.98 * len(texts) / 2 and not any(i in gone for i, _ in texts if i % 2 == 0) and not any(i >= 10_000 for i in gone)
+
+
+def test_longest_match_and_null_items(spark):
+    rng = random.Random(21)
+    items = [(f"i{k}", text_of(rng, 40, 60)) for k in range(6)] + [(None, text_of(rng, 20, 60)), ("short", "two words")]
+    items += [(None, items[0][1]), ("again", items[0][1])]
+    texts = []
+    for _ in range(30):
+        parts = []
+        for _ in range(3):
+            w = rng.choice(items)[1].split()
+            i = rng.randrange(len(w))
+            parts += w[i : i + rng.randrange(1, 30)] + text_of(rng, 3, 60).split()
+        texts.append(" ".join(parts))
+    # two items in blocks of their own give what one block gives
+    one = decontamination._judged(texts, [decontamination.TestWindows(items)])
+    two = decontamination._judged(texts, [decontamination.TestWindows(items[:4]), decontamination.TestWindows(items[4:])])
+    assert [(n, h, i, m[0]) for n, h, i, m in one] == [(n, h, i, m[0]) for n, h, i, m in two]
+    plain = [(name, [w.decode() for w in decontamination.item_words(t)]) for name, t in items]
+    for t, (n, _, found, (size, at, name, start)) in zip(texts, one):
+        w = [x.decode() for x in decontamination.item_words(t)]
+        best, owners = 0, set()
+        for owner, p in plain:
+            least = min(13, len(p))
+            for i in range(len(w)):
+                for j in range(len(p)):
+                    k = 0
+                    while i + k < len(w) and j + k < len(p) and w[i + k] == p[j + k]:
+                        k += 1
+                    if k >= least:
+                        best = max(best, k)
+                        owners.add(owner)
+        assert (n, size, found) == (len(w), best, owners - {None})
+        if best:
+            assert any(w[at : at + size] == p[start : start + size] for owner, p in plain if owner == name)
+    benchmark = spark.createDataFrame(items, "item_id string, text string")
+    rows = decontamination.contamination(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), benchmark).collect()
+    assert {r["doc_id"]: (r["n_items"], r["longest_match"]) for r in rows} == {k: (len(i), m[0]) for k, (_, _, i, m) in enumerate(one)}
+
+
+def test_rows_with_one_id_are_one_node(spark):
+    rng = random.Random(8)
+    a, b = text_of(rng, 60), text_of(rng, 60)
+    docs = spark.createDataFrame([(1, a, "x"), (5, a, "y"), (5, b, "z"), (5, b, "w"), (9, b, "v"), (None, a, "u")], "doc_id long, text string, component_id string")
+    got = ngram_join.jaccard_components(docs.filter("doc_id is not null")).collect()
+    assert {(r["doc_id"], r["component_id"]) for r in got} == {(1, 1), (5, 1), (9, 1)}
+    kept = ngram_join.keep_one(docs)
+    assert kept.columns == docs.columns and {tuple(r) for r in kept.collect()} == {(1, a, "x"), (None, a, "u")}
+    assert [tuple(r) for r in ngram_join.keep_one(docs.filter("doc_id = 5")).collect()] == [(5, *min([(a, "y"), (b, "w")]))]
+
+
+def test_exact_sharding_against_plain_differencing(spark):
+    rng = random.Random(4)
+    texts = [text_of(rng, rng.randrange(1, 60)) for _ in range(300)]
+    rows = sharding.shard_documents(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), 4, None).collect()
+    load = Counter()
+    for r in rows:
+        load[r["shard"]] += r["size"]
+    parts = [[0, 0, 0, len(t.encode()) + 1] for t in texts]
+    while len(parts) > 1:
+        parts.sort(key=lambda p: p[0] - p[-1])
+        x, y = parts.pop(0), parts.pop(0)
+        parts.append(sorted(u + v for u, v in zip(x, reversed(y))))
+    assert max(load.values()) - min(load.values()) <= max(2, 2 * (parts[0][-1] - parts[0][0]))
