@@ -138,6 +138,20 @@ def _(spark, d):
     return ordering.spectral_order(ordering.lattice_edges(spark, (64, 1, 1)), ordering.lattice(spark, (64, 1, 1)))
 
 
+#: A path of cells whose ids are scattered by a fixed permutation (multiplication modulo a prime).
+_PATH, _SCATTER = 5003, 2111
+
+
+@register("order_spectral_scattered_path", f"select cast(i * {_SCATTER} % {_PATH} as bigint) as cell_id, cast(i + 1 as bigint) as pos from (select unnest(range(0, {_PATH})) as i)")
+def _(spark, d):
+    """The line of a path comes back, up to reversal: it is turned so that cell 0, the path's first, has the first place."""
+    at = lambda i: (i * _SCATTER % _PATH).cast("long")
+    line = spark.range(_PATH)
+    cells = line.select(at(F.col("id")).alias("cell_id"))
+    edges = line.filter(F.col("id") < _PATH - 1).select(at(F.col("id")).alias("a"), at(F.col("id") + 1).alias("b"))
+    return ordering.spectral_order(edges, cells)
+
+
 @register("order_spectral_box")
 def _(spark, d):
     return ordering.spectral_order(ordering.lattice_edges(spark, _BOX), ordering.lattice(spark, _BOX))
@@ -450,6 +464,9 @@ register("fixed_k_events", f"select run_id, step from ({_TYPE_TRACE}) where step
 register("suggest_k_events", f"select run_id, round(case when regr_slope(secs, step) > 0 then sqrt(2 * 500 / regr_slope(secs, step)) end, 4) as k from ({_TYPE_TRACE}) group by run_id")(lambda spark, d: trigger.suggest_k(_trace(spark, d), 500.0).select("run_id", F.round("k", 4).alias("k")))
 register("recent_median_events", f"select run_id, step, round(median(secs) over (partition by run_id order by step rows between 2 preceding and current row), 9) as t2 from ({_TYPE_TRACE})")(lambda spark, d: trigger.recent_median(_trace(spark, d)).select("run_id", "step", F.round("t2", 9).alias("t2")))
 register("phase_mean_events", f"select run_id, round(avg(secs), 9) as t1, cast(50 as bigint) as midpoint from ({_TYPE_TRACE}) where step <= 100 group by run_id")(lambda spark, d: trigger.phase_mean(_trace(spark, d)).select("run_id", F.round("t1", 9).alias("t1"), "midpoint"))
+register("phase_means_every_500", f"select run_id, cast((step - 1) // 500 * 500 as bigint) as epoch_start, round(avg(secs), 9) as t1, cast((step - 1) // 500 * 500 + 50 as bigint) as midpoint from ({_TYPE_TRACE}) where (step - 1) % 500 < 100 group by 1, 2, 4")(
+    lambda spark, d: trigger.phase_means(_trace(spark, d), trigger.policy_fixed(_trace(spark, d), 500)).select("run_id", "epoch_start", F.round("t1", 9).alias("t1"), "midpoint")
+)
 register("adaptive_events_type", sql.decisions(500, trace=_TYPE_TRACE))(lambda spark, d: _rounded(trigger.adaptive_triggers(_trace(spark, d), trigger.Rule(500))))
 register("adaptive_events_user", sql.decisions(500, eval_len=10, trace=_USER_TRACE))(lambda spark, d: _rounded(trigger.adaptive_triggers(_trace(spark, d, "user_id"), trigger.Rule(500, eval_len=10))))
 register("adaptive_interval_only", sql.decisions(500, trace=_TYPE_TRACE, use_loss=False))(lambda spark, d: _rounded(trigger.adaptive_triggers(_trace(spark, d), trigger.Rule(500, use_loss=False))))

@@ -124,13 +124,14 @@ def line_locality(edges: DataFrame, order: DataFrame) -> DataFrame:
 
 
 # ---------------------------------------------------------------- recursive spectral bisection
-def spectral_split(ids: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+def spectral_split(ids: np.ndarray, a: np.ndarray, b: np.ndarray, prior: np.ndarray | None = None) -> np.ndarray:
     """Ids of one part in spectral order: split at the median of the Laplacian's second eigenvector, recursively.
 
-    Entries are rounded before they are ranked, ties go by id, and the sign is such that the smallest id lies left.
+    Entries are rounded before they are ranked, ties go by id. The sign is such that the part runs the way of ``prior``, the
+    vector that cut it off, so that ends which were neighbours stay neighbours; without one the smallest id lies left.
     """
     if len(ids) < 3:
-        return np.sort(ids)
+        return ids[np.lexsort((ids,) if prior is None else (ids, prior))]
     place = {int(i): k for k, i in enumerate(ids)}
     lap = np.zeros((len(ids), len(ids)))
     for x, y in zip(a.tolist(), b.tolist()):
@@ -141,38 +142,41 @@ def spectral_split(ids: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         lap[j, j] += 1
     vector = np.round(np.linalg.eigh(lap)[1][:, 1], 9)
     first = int(np.argmin(ids))
-    if vector[first] > 0 or (vector[first] == 0 and vector.sum() > 0):
+    along = 0.0 if prior is None else round(float(vector @ (prior - prior.mean())), 9)
+    if along < 0 or (along == 0 and (vector[first] > 0 or (vector[first] == 0 and vector.sum() > 0))):
         vector = -vector
     order = np.lexsort((ids, vector))
     half = (len(ids) + 1) // 2
-    left, right = ids[order[:half]], ids[order[half:]]
     parts = []
-    for part in (left, right):
-        inside = np.isin(a, part) & np.isin(b, part)
-        parts.append(spectral_split(part, a[inside], b[inside]))
+    for side in (order[:half], order[half:]):
+        inside = np.isin(a, ids[side]) & np.isin(b, ids[side])
+        parts.append(spectral_split(ids[side], a[inside], b[inside], vector[side]))
     return np.concatenate(parts)
 
 
-def spectral_order(edges: DataFrame, cells: DataFrame, leaf: int = LEAF_CELLS, iterations: int = 60, checkpoint=None) -> DataFrame:
-    """(cell_id, pos). All parts above ``leaf`` cells are split level by level with shifted power iterations as joins over
-    all parts at once; smaller parts are finished, each in one task, by a dense solver.
+def spectral_order(edges: DataFrame, cells: DataFrame, leaf: int = LEAF_CELLS, iterations: int = 6, checkpoint=None) -> DataFrame:
+    """(cell_id, pos). All parts above ``leaf`` cells are split level by level, all of them at once: the graph is coarsened by joins
+    until a part has at most ``leaf`` nodes, solved there, and refined on the way back; smaller parts are finished, each in one task, by a dense solver.
 
-    ``checkpoint(df)`` cuts the lineage between iterations; the session's reliable checkpoint is used where none is given.
+    ``iterations`` are smoothing steps after each refinement. ``checkpoint(df)`` cuts the lineage; the session's reliable checkpoint
+    is used where none is given.
     """
     spark = cells.sparkSession
-    parts = cells.select("cell_id").withColumn("part", F.lit("")).withColumn("before", F.lit(0).cast("long"))
+    parts = cells.select("cell_id").withColumn("part", F.lit("")).withColumn("before", F.lit(0).cast("long")).withColumn("prior", F.lit(None).cast("double"))
     sizes = parts.count()
     save = checkpoint or _checkpointer(spark)
     both = save(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))))
     while sizes > leaf:
-        parts = save(_split_level(parts, both, iterations, save))
+        parts = save(_split_level(parts, both, leaf, iterations, save))
         sizes = parts.groupBy("part").count().agg(F.max("count")).first()[0]
     inner = edges.join(parts.select(F.col("cell_id").alias("a"), F.col("part").alias("pa"), "before"), "a").join(parts.select(F.col("cell_id").alias("b"), F.col("part").alias("pb")), "b").filter("pa = pb")
-    rows = parts.select("part", "before", F.col("cell_id").alias("a"), F.lit(None).cast("long").alias("b")).unionByName(inner.select(F.col("pa").alias("part"), "before", "a", "b"))
+    none = F.lit(None)
+    rows = parts.select("part", "before", F.col("cell_id").alias("a"), none.cast("long").alias("b"), "prior").unionByName(inner.select(F.col("pa").alias("part"), "before", "a", "b", none.cast("double").alias("prior")))
 
     def finish(pdf: pd.DataFrame) -> pd.DataFrame:
         own = pdf["b"].isna()
-        ids = spectral_split(pdf["a"][own].to_numpy(np.int64), pdf["a"][~own].to_numpy(np.int64), pdf["b"][~own].to_numpy(np.int64))
+        prior = pdf["prior"][own].to_numpy(float)
+        ids = spectral_split(pdf["a"][own].to_numpy(np.int64), pdf["a"][~own].to_numpy(np.int64), pdf["b"][~own].to_numpy(np.int64), None if np.isnan(prior).any() else prior)
         return pd.DataFrame({"cell_id": ids, "pos": int(pdf["before"].iloc[0]) + 1 + np.arange(len(ids))})
 
     return rows.groupBy("part").applyInPandas(finish, "cell_id long, pos long")
@@ -191,30 +195,85 @@ def _checkpointer(spark: SparkSession):
     return lambda df: df.checkpoint()
 
 
-def _split_level(parts: DataFrame, both: DataFrame, iterations: int, save) -> DataFrame:
-    """Halve every part at the median of an approximate second eigenvector: shifted power iteration, mean taken out."""
+def _coarser(nodes: DataFrame, edges: DataFrame, level: int) -> DataFrame:
+    """(id, parent) of ``nodes`` (id, part, mass): ends of edges that are each other's heaviest merge, others join their heaviest one's pair."""
+    draw = F.xxhash64(F.least("a", "b"), F.greatest("a", "b"), F.lit(level))
+    best = edges.groupBy("a").agg(F.max(F.struct("w", draw, "b"))["b"].alias("b"))
+    pairs = best.join(best.select(F.col("b").alias("a"), F.col("a").alias("b")), ["a", "b"])
+    merged = pairs.select(F.col("a").alias("id"), F.least("a", "b").alias("parent"))
+    joined = best.join(merged.select(F.col("id").alias("b"), F.col("parent").alias("through")), "b").select(F.col("a").alias("id"), "through")
+    known = nodes.select("id").join(merged, "id", "left").join(joined, "id", "left")
+    return known.select("id", F.coalesce("parent", "through", "id").alias("parent"))
+
+
+def _smoothed(nodes: DataFrame, edges: DataFrame, vector: DataFrame, steps: int, save) -> DataFrame:
+    """``vector`` (id, v) after ``steps`` of shifted power iteration by joins, the mean taken out of each part."""
+    degree = edges.groupBy("a").agg(F.sum("w").alias("deg"))
+    now = nodes.join(vector, "id").join(degree.withColumnRenamed("a", "id"), "id", "left").select("id", "part", "mass", "v", (F.coalesce("deg", F.lit(0.0)) / F.col("mass")).alias("deg"))
+    shift = now.agg(F.max("deg")).first()[0] or 1.0
+    for _ in range(steps):
+        pulled = edges.join(now.select(F.col("id").alias("b"), F.col("v").alias("vb")), "b").groupBy(F.col("a").alias("id")).agg(F.sum(F.col("w") * F.col("vb")).alias("pull"))
+        moved = now.join(pulled, "id", "left").withColumn("v", F.col("v") + (F.coalesce(F.col("pull") / F.col("mass"), F.lit(0.0)) - F.col("deg") * F.col("v")) / (2 * shift))
+        stats = moved.groupBy("part").agg((F.sum(F.col("mass") * F.col("v")) / F.sum("mass")).alias("mean"), F.stddev_pop("v").alias("sd"))
+        now = save(moved.join(stats, "part").withColumn("v", F.when(F.col("sd") > 0, (F.col("v") - F.col("mean")) / F.col("sd")).otherwise(F.lit(0.0))).drop("mean", "sd", "pull"))
+    return now.select("id", "v")
+
+
+def _coarse_vector(pdf: pd.DataFrame) -> pd.DataFrame:
+    """Second eigenvector of one part's coarse graph, its masses taken into account. Rows without b are nodes."""
+    own = pdf["b"].isna()
+    ids, mass = pdf["a"][own].to_numpy(np.int64), pdf["w"][own].to_numpy(float)
+    order = np.argsort(ids)
+    ids, mass = ids[order], mass[order]
+    i, j = (np.searchsorted(ids, pdf[c][~own].to_numpy(np.int64)) for c in ("a", "b"))
+    lap = np.zeros((len(ids), len(ids)))
+    np.add.at(lap, (i, j), -pdf["w"][~own].to_numpy(float))
+    lap[np.diag_indices(len(ids))] = -lap.sum(1)
+    root = np.sqrt(mass)
+    vector = np.linalg.eigh(lap / root[:, None] / root)[1][:, min(1, len(ids) - 1)] / root
+    return pd.DataFrame({"id": ids, "v": vector})
+
+
+def _fiedler(parts: DataFrame, inner: DataFrame, leaf: int, steps: int, save) -> DataFrame:
+    """(cell_id, v): the second eigenvector of each part, by coarsening and refinement."""
+    nodes, edges = parts.select(F.col("cell_id").alias("id"), "part", F.lit(1.0).alias("mass")), inner.withColumn("w", F.lit(1.0))
+    levels = []
+    most = nodes.groupBy("part").count().agg(F.max("count")).first()[0]
+    while most > leaf:
+        parent = save(_coarser(nodes, edges, len(levels)))
+        up = lambda c: parent.select(F.col("id").alias(c), F.col("parent").alias(f"p{c}"))
+        coarse_edges = edges.join(up("a"), "a").join(up("b"), "b").filter("pa <> pb").groupBy(F.col("pa").alias("a"), F.col("pb").alias("b")).agg(F.sum("w").alias("w"))
+        coarse = nodes.join(parent, "id").groupBy(F.col("parent").alias("id"), "part").agg(F.sum("mass").alias("mass"))
+        levels.append((nodes, edges, parent))
+        nodes, edges = save(coarse), save(coarse_edges)
+        before, most = most, nodes.groupBy("part").count().agg(F.max("count")).first()[0]
+        if most == before:  # what is left has no edges
+            raise ValueError(f"a part has {most} components, more than {leaf}: order the components one by one")
+    rows = nodes.select("part", F.col("id").alias("a"), F.lit(None).cast("long").alias("b"), F.col("mass").alias("w")).unionByName(edges.join(nodes.select(F.col("id").alias("a"), "part"), "a").select("part", "a", "b", "w"))
+    vector = save(rows.groupBy("part").applyInPandas(_coarse_vector, "id long, v double"))
+    for fine, fine_edges, parent in reversed(levels):
+        spread = parent.join(vector.withColumnRenamed("id", "parent"), "parent").select("id", "v")
+        vector = _smoothed(fine, fine_edges, spread, steps, save)
+    return vector.select(F.col("id").alias("cell_id"), "v")
+
+
+def _ranked(vector: DataFrame, buckets: int = 256) -> DataFrame:
+    """(cell_id, part, v) with r, the rank by (v, cell_id) in the part, and n, the part's cells; no task sorts more than a bucket."""
+    bounds = vector.groupBy("part").agg(F.percentile_approx("v", [i / buckets for i in range(1, buckets)], 10_000).alias("bounds"), F.count("*").alias("n"))
+    placed = vector.join(F.broadcast(bounds), "part").withColumn("bucket", F.size(F.filter("bounds", lambda x: x < F.col("v")))).drop("bounds")
+    counts = placed.groupBy("part", "bucket").agg(F.count("*").alias("c"))
+    before = counts.select("part", "bucket", (F.sum("c").over(Window.partitionBy("part").orderBy("bucket")) - F.col("c")).alias("lower"))
+    inside = F.row_number().over(Window.partitionBy("part", "bucket").orderBy("v", "cell_id"))
+    return placed.withColumn("inside", inside).join(F.broadcast(before), ["part", "bucket"]).withColumn("r", F.col("lower") + F.col("inside"))
+
+
+def _split_level(parts: DataFrame, both: DataFrame, leaf: int, iterations: int, save) -> DataFrame:
+    """Halve every part at the median of its second eigenvector, which runs the way of the one that cut it off; the first has the smallest id to the left."""
     inner = both.join(parts.select(F.col("cell_id").alias("a"), F.col("part").alias("pa")), "a").join(parts.select(F.col("cell_id").alias("b"), F.col("part").alias("pb")), "b").filter("pa = pb").select("a", "b")
-    inner = save(inner)
-    degree = inner.groupBy("a").agg(F.count("*").alias("deg"))
-    shift = degree.agg(F.max("deg") * 2).first()[0] or 1
-    vector = parts.select("cell_id", "part", F.col("cell_id").cast("double").alias("v"))
-    w = Window.partitionBy("part")
-
-    def normalised(df: DataFrame) -> DataFrame:
-        stats = df.groupBy("part").agg(F.avg("v").alias("m"), F.stddev_pop("v").alias("d"))
-        return df.join(stats, "part").select("cell_id", "part", F.when(F.col("d") > 0, (F.col("v") - F.col("m")) / F.col("d")).otherwise(F.lit(0.0)).alias("v"))
-
-    vector = normalised(vector)
-    for i in range(iterations):
-        pulled = inner.join(vector.select(F.col("cell_id").alias("b"), F.col("v").alias("vb")), "b").groupBy(F.col("a").alias("cell_id")).agg(F.sum("vb").alias("nb"), F.count("*").alias("deg"))
-        stepped = vector.join(pulled, "cell_id", "left").select("cell_id", "part", (F.lit(float(shift)) * F.col("v") - F.coalesce("deg", F.lit(0)) * F.col("v") + F.coalesce("nb", F.lit(0.0))).alias("v"))
-        vector = normalised(stepped)
-        if i % 5 == 4:
-            vector = save(vector)
-    lowest = F.first("v").over(w.orderBy("cell_id"))
-    signed = vector.withColumn("v", F.round(F.when(lowest > 0, -F.col("v")).otherwise(F.col("v")), 9))
-    ranked = signed.withColumn("r", F.row_number().over(w.orderBy("v", "cell_id"))).withColumn("n", F.count("*").over(w))
+    vector = _fiedler(parts, save(inner), leaf, iterations, save).join(parts, "cell_id")
+    sign = vector.groupBy("part").agg(F.min_by("v", "cell_id").alias("lowest"), F.covar_pop("v", "prior").alias("along"))
+    against = F.coalesce(F.col("along") < 0, F.col("lowest") > 0)
+    signed = vector.join(F.broadcast(sign), "part").select("cell_id", "part", "before", F.round(F.when(against, -F.col("v")).otherwise(F.col("v")), 9).alias("v"))
     half = F.expr("(n + 1) div 2")
-    moved = ranked.join(parts.select("cell_id", "before"), "cell_id")
     right = F.col("r") > half
-    return moved.select("cell_id", F.concat("part", F.when(right, "1").otherwise("0")).alias("part"), (F.col("before") + F.when(right, half).otherwise(0)).cast("long").alias("before"))
+    return _ranked(save(signed)).select("cell_id", F.concat("part", F.when(right, "1").otherwise("0")).alias("part"), (F.col("before") + F.when(right, half).otherwise(0)).cast("long").alias("before"), F.col("v").alias("prior"))

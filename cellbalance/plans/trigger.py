@@ -132,6 +132,17 @@ def phase_mean(trace: DataFrame, eval_len: int = 100) -> DataFrame:
     return trace.filter(F.col("step") <= eval_len).groupBy("run_id").agg(F.avg("secs").alias("t1"), F.lit(eval_len // 2).cast("long").alias("midpoint"))
 
 
+def phase_means(trace: DataFrame, firings: DataFrame, eval_len: int = 100) -> DataFrame:
+    """(run_id, epoch_start, t1, midpoint) of the evaluation phase of every epoch: the ``eval_len`` steps after the run's start (0) and after
+    each step of ``firings`` (run_id, step). One sort by run: the last firing before a step is carried forward."""
+    marks = firings.select("run_id", "step", F.lit(None).cast("double").alias("secs"), F.col("step").alias("fired"))
+    rows = trace.select("run_id", "step", "secs", F.lit(None).cast("long").alias("fired")).unionByName(marks)
+    # a step that fires still belongs to the epoch before it
+    last = F.last("fired", ignorenulls=True).over(Window.partitionBy("run_id").orderBy("step", F.col("fired").isNotNull()))
+    phase = rows.withColumn("epoch_start", F.coalesce(last, F.lit(0))).filter("secs is not null").filter(F.col("step") - F.col("epoch_start") <= eval_len)
+    return phase.groupBy("run_id", "epoch_start").agg(F.avg("secs").alias("t1")).withColumn("midpoint", F.col("epoch_start") + eval_len // 2)
+
+
 def ideal_interval(lb_cost: float, slope: float) -> float:
     """Interval with the least sum of rebalancing cost and degradation per step."""
     return math.sqrt(2 * lb_cost / slope) if slope > 0 else math.inf

@@ -71,10 +71,10 @@ def _(spark, d):
     return block_totals(_w("orders", spark, d), 1024).select("block", F.col("block_sum").alias("local"))
 
 
-@register("op_range_lookup", f"select pos, slot from ({_MAP_PEER}) where pos % 97 = 0")
+@register("op_range_lookup", f"select pos, slot from ({_MAP_PEER})")
 def _(spark, d):
     w = _w("orders", spark, d)
-    return maps.cuts_to_map(w.filter("pos % 97 = 0"), bal.balance_peer(w, 16)).select("pos", "slot")
+    return maps.cuts_to_map(w, bal.balance_peer(w, 16)).select("pos", "slot")
 
 
 @register("op_asof_version", f"select t.run_id, t.step, cast(t.step // 500 * 500 as bigint) as version from ({_TYPE_TRACE}) t")
