@@ -12,7 +12,10 @@ empty table gives no rows. Extra columns are ignored.
 
 from __future__ import annotations
 
+import base64
 import functools
+import json
+import re
 import zlib
 from collections.abc import Iterator
 
@@ -30,24 +33,35 @@ CACHE_ENTRIES = 300_000
 
 
 class FastIds:
-    """Ids of the byte-level vocabulary as little-endian uint32 bytes, by ``tokenizers`` and the vocabulary's JSON file.
+    """Ids of the byte-level vocabulary as little-endian uint32 bytes, the same as those of ``tokenizers`` (tests compare both).
 
-    Texts with one of the added tokens are encoded as a whole. Others are cut before each single space; such a cut is always a cut of the
-    vocabulary's own splitting rule, unless a chunk is white space only, in which case the text is encoded as a whole. Chunks are remembered.
+    Texts are split at the added tokens of the vocabulary's JSON file, which have ids of their own. What lies between is cut before each single space; such a cut is always a cut of the vocabulary's own splitting rule, unless a
+    chunk is white space only, in which case the text is encoded as a whole. Chunks are remembered.
     """
 
-    def __init__(self, path: str):
-        from tokenizers import Tokenizer
-
-        self._tokenizer = Tokenizer.from_file(path.removesuffix(".tiktoken").removesuffix(".json") + ".json")
-        self._added = [t.content for t in self._tokenizer.get_added_tokens_decoder().values()]
+    def __init__(self, ranks_path: str):
+        import public_tokenizers
+        import tiktoken
+
+        ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(ranks_path, "rb"))}
+        self._encode = tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+        added = json.load(open(ranks_path.removesuffix(".tiktoken") + ".json", encoding="utf-8")).get("added_tokens", [])
+        self._added = {t["content"]: np.asarray([t["id"]], dtype="<u4").tobytes() for t in added}
+        # of tokens that start at the same place the longest counts
+        self._split = re.compile("(" + "|".join(map(re.escape, sorted(self._added, key=len, reverse=True))) + ")").split if added else None
         self._known: dict[str, bytes | None] = {}
 
+    def _parts(self, text: str, plain) -> bytes:
+        if not any(token in text for token in self._added):
+            return plain(text)
+        parts = self._split(text)  # texts and tokens take turns
+        return b"".join(self._added[p] if i % 2 else plain(p) for i, p in enumerate(parts) if p)
+
     def _whole(self, text: str) -> bytes:
-        return np.asarray(self._tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
+        return self._parts(text, lambda t: np.asarray(self._encode(t), dtype="<u4").tobytes())
 
     def __call__(self, text: str) -> bytes:
-        return self._whole(text) if any(token in text for token in self._added) else self._plain(text)
+        return self._parts(text, self._plain)
 
     def _plain(self, text: str) -> bytes:
         if len(self._known) > CACHE_ENTRIES:
@@ -72,8 +86,8 @@ class FastIds:
 
 
 @functools.lru_cache(maxsize=2)
-def _ids(vocabulary_path: str) -> FastIds:
-    return FastIds(vocabulary_path)
+def _ids(ranks_path: str) -> FastIds:
+    return FastIds(ranks_path)
 
 
 class LevelPacker:
@@ -163,12 +177,12 @@ def pack_texts(rows: Iterator[tuple], ids_of, size: int, first_sequence: int) ->
         yield from emit(window)
 
 
-def pack(docs: DataFrame, vocabulary_path: str | None = None, size: int = 1024) -> DataFrame:
+def pack(docs: DataFrame, ranks_path: str | None = None, size: int = 1024) -> DataFrame:
     """Pieces of all documents in sequences of at most ``size`` ids. ``docs`` has doc_id and text."""
-    if vocabulary_path is None:
+    if ranks_path is None:
         import public_tokenizers
 
-        vocabulary_path = public_tokenizers.path("byte_bpe_50k.json")
+        ranks_path = public_tokenizers.path("byte_bpe_50k.tiktoken")
 
     def run(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -181,7 +195,7 @@ def pack(docs: DataFrame, vocabulary_path: str | None = None, size: int = 1024)
             columns = list(zip(*out))
             return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=_FIELDS)
 
-        for piece in pack_texts(rows, _ids(vocabulary_path), size, task.partitionId() << 40):
+        for piece in pack_texts(rows, _ids(ranks_path), size, task.partitionId() << 40):
             out.append(piece)
             if len(out) >= 20_000:
                 yield batch()
