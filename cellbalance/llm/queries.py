@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from . import oracle
 from .decontamination import op5_suffix_array_decontamination
 from .language_model import op10_kneser_ney_scores
 from .line_dedup import op7_simhash_line_dedup
@@ -14,4 +15,8 @@ from .sharding import op2_karmarkar_karp_sharding
 from .substring_dedup import op4_fm_index_substring_dedup
 
 QUERIES = {f.__name__: f for f in (op1_ngram_likelihood_rules, op2_karmarkar_karp_sharding, op3_markov_secret_scan, op4_fm_index_substring_dedup, op5_suffix_array_decontamination, op6_prefix_tree_join, op7_simhash_line_dedup, op8_kneser_ney_quality, op9_sum_of_squares_packing, op10_kneser_ney_scores)}
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op4_fm_index_substring_dedup": oracle.repeated_windows(),
+    "op5_suffix_array_decontamination": oracle.benchmark_windows(),
+    "op6_prefix_tree_join": oracle.similar_sets(),
+}
