@@ -26,14 +26,18 @@ def balance_uniform(weights: DataFrame, p: int, cap: int | None = None, strict:
     return _capped(c.cuts_uniform(weights, p), cap, strict)
 
 
-def balance_single_site(weights: DataFrame, p: int, cap: int | None = None, strict: bool = False, scan: str = "blocks", block: int = s.BLOCK) -> DataFrame:
-    """Nearest cuts. ``scan='single'`` sorts all cells in one task as the method is described; 'blocks' gives the same cuts."""
-    scanned = s.scan_single_site(weights) if scan == "single" else s.scan_blocks(weights, block)
-    return _capped(c.cuts_nearest(scanned, p), cap, strict)
+def _scanned(weights: DataFrame, cells: int | None, block: int) -> tuple[DataFrame, DataFrame]:
+    """The scan, and one row with n and total. ``cells``: about how many there are, to size blocks and levels by."""
+    block, levels = (block, 1) if cells is None else s.scan_settings(cells, block)
+    return s.scan_blocks(weights, block, levels), s.line_totals(weights, block)
 
 
-def whole_line(scanned: DataFrame) -> DataFrame:
-    return scanned.agg(F.coalesce(F.max("n"), F.lit(0)).alias("n"), F.coalesce(F.max("total"), F.lit(0)).alias("total"))
+def balance_single_site(weights: DataFrame, p: int, cap: int | None = None, strict: bool = False, scan: str = "blocks", block: int = s.BLOCK, cells: int | None = None) -> DataFrame:
+    """Nearest cuts. ``scan='single'`` sorts all cells in one task as the method is described; 'blocks' gives the same cuts."""
+    if scan == "single":
+        return _capped(c.cuts_nearest(s.scan_single_site(weights), p), cap, strict)
+    scanned, whole = _scanned(weights, cells, block)
+    return _capped(c.cuts_nearest(scanned, p, whole), cap, strict)
 
 
 def peer_map(weights: DataFrame, p: int, unit: int = 1, block: int = s.BLOCK) -> DataFrame:
@@ -41,9 +45,9 @@ def peer_map(weights: DataFrame, p: int, unit: int = 1, block: int = s.BLOCK) ->
     return c.quotient_slots(s.scan_blocks(weights, block), p, unit)
 
 
-def balance_peer(weights: DataFrame, p: int, cap: int | None = None, strict: bool = False, unit: int = 1, block: int = s.BLOCK) -> DataFrame:
-    mapped = peer_map(weights, p, unit, block)
-    return _capped(c.close_gaps(c.first_cells(mapped.select("pos", "slot"), block), p, whole_line(mapped)), cap, strict)
+def balance_peer(weights: DataFrame, p: int, cap: int | None = None, strict: bool = False, unit: int = 1, block: int = s.BLOCK, cells: int | None = None) -> DataFrame:
+    scanned, whole = _scanned(weights, cells, block)
+    return _capped(c.close_gaps(c.first_of_scan(scanned, p, unit), p, whole), cap, strict)
 
 
 def repair_in_one_place(pairs: list[tuple[int, int]], p: int, n: int, cap: int | None, strict: bool) -> list[int]:
@@ -64,11 +68,11 @@ def repair_in_one_place(pairs: list[tuple[int, int]], p: int, n: int, cap: int |
     return b
 
 
-def balance_hybrid(weights: DataFrame, p: int, cap: int | None = None, strict: bool = False, unit: int = 1, block: int = s.BLOCK) -> DataFrame:
-    mapped = peer_map(weights, p, unit, block)
-    first = c.first_cells(mapped.select("pos", "slot"), block)
+def balance_hybrid(weights: DataFrame, p: int, cap: int | None = None, strict: bool = False, unit: int = 1, block: int = s.BLOCK, cells: int | None = None) -> DataFrame:
+    scanned, whole = _scanned(weights, cells, block)
+    first = c.first_of_scan(scanned, p, unit)
     # one job brings the pairs, at most one a slot, and the totals
-    tagged = first.select("slot", F.col("first_pos").alias("x")).unionByName(whole_line(mapped).select(F.expr("case when total > 0 then -1 else -2 end").alias("slot"), F.col("n").alias("x")))
+    tagged = first.select("slot", F.col("first_pos").alias("x")).unionByName(whole.select(F.expr("case when total > 0 then -1 else -2 end").alias("slot"), F.col("n").alias("x")))
     rows = [(r[0], r[1]) for r in tagged.collect()]
     mark, n = next((s_, x) for s_, x in rows if s_ is not None and s_ < 0)
     if mark == -2:

@@ -5,7 +5,7 @@ Targets k*T/P are never divided: comparisons are cross-multiplied in longs (P*T
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -29,10 +29,11 @@ def _or_uniform(cuts: DataFrame, p: int) -> DataFrame:
     return cuts.select("k", F.when(F.col("total") > 0, F.col("b")).otherwise(F.expr(f"(k * n) div {p}")).cast("long").alias("b"))
 
 
-def cuts_nearest(scan: DataFrame, p: int) -> DataFrame:
+def cuts_nearest(scan: DataFrame, p: int, whole: DataFrame | None = None) -> DataFrame:
     """Nearest cuts: after the first cell whose sum exceeds k*T/P, or before it if that is strictly nearer.
 
-    Each cell generates the cuts whose target it reaches, so the n rows are passed once and never joined.
+    Each cell generates the cuts whose target it reaches, so the n rows are passed once and never joined. ``whole`` is one
+    row, n and total, where the caller has it (``line_totals``); without it the scan is passed again.
     """
     lo = F.expr(f"greatest(1, (s_prev * {p} + total - 1) div nullif(total, 0))")
     hi = F.expr(f"least({p - 1}, (s * {p} + total - 1) div nullif(total, 0) - 1)")
@@ -40,16 +41,28 @@ def cuts_nearest(scan: DataFrame, p: int) -> DataFrame:
     inner = reached.select(F.explode(F.sequence("lo", "hi")).alias("k"), "pos", "s_prev", "s", "total")
     inner = inner.select(F.col("k").cast("int").alias("k"), F.when(2 * F.col("k") * F.col("total") < p * (F.col("s_prev") + F.col("s")), F.col("pos") - 1).otherwise(F.col("pos")).alias("cut"))
     ends = _slots(scan.sparkSession, p).join(F.broadcast(inner), "k", "left")
-    whole = _total(scan)
-    filled = ends.join(F.broadcast(whole), F.lit(True), "left")
+    filled = ends.join(F.broadcast(whole if whole is not None else _total(scan)), F.lit(True), "left")
     b = F.when(F.col("k") == 0, F.lit(0)).when(F.col("k") == p, F.col("n")).otherwise(F.col("cut"))
     return _or_uniform(filled.select("k", b.alias("b"), "n", "total"), p)
 
 
+def _quotient(s: str, p: int, unit: int) -> Column:
+    return F.expr(f"case when total > 0 then case when {s} < {unit} then 0 else least({p - 1}, (({s} - {unit}) * {p}) div total) end end").cast("int")
+
+
 def quotient_slots(scan: DataFrame, p: int, unit: int = 1) -> DataFrame:
     """(pos, slot, n, total): a cell's prefix sum less one unit, over the mean load, floored and clamped."""
-    slot = F.expr(f"case when total > 0 then case when s < {unit} then 0 else least({p - 1}, ((s - {unit}) * {p}) div total) end end")
-    return scan.select("pos", slot.cast("int").alias("slot"), "n", "total")
+    return scan.select("pos", _quotient("s", p, unit).alias("slot"), "n", "total")
+
+
+def first_of_scan(scan: DataFrame, p: int, unit: int = 1) -> DataFrame:
+    """(slot, first_pos) of the quotient map, straight from the scan.
+
+    The left neighbour's prefix sum is a cell's own less its weight, so its slot is known without looking at its row: a
+    filter over the scan, with no window, and nothing travels between blocks. ``first_cells`` does it for any map.
+    """
+    both = scan.filter("total > 0").select("pos", _quotient("s", p, unit).alias("slot"), _quotient("s_prev", p, unit).alias("before"))
+    return both.filter("pos = 1 or slot <> before").select("slot", F.col("pos").alias("first_pos"))
 
 
 def first_cells(mapped: DataFrame, block: int = 65_536) -> DataFrame:

@@ -16,19 +16,20 @@ def key_order(df: DataFrame, key: str) -> DataFrame:
     return df.select(F.col(key).cast("long").alias("cell_id"), (F.col(key) + 1).cast("long").alias("pos"))
 
 
-def dense_pos(df: DataFrame, key: str, buckets: int = 256) -> DataFrame:
-    """(cell_id, pos): rank of distinct keys without a window over all rows.
+def dense_pos(df: DataFrame, key: str, buckets: int = 256, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(cell_id, pos): rank of distinct keys without a window over all rows. With columns to ``carry``, keys must be distinct already.
 
     Bucket bounds are quantiles, so buckets are even; ranks inside a bucket are shifted by the counts of those before it.
     """
-    keys = df.select(F.col(key).cast("long").alias("cell_id")).distinct()
+    keys = df.select(F.col(key).cast("long").alias("cell_id"), *carry)
+    keys = keys if carry else keys.distinct()
     fractions = [i / buckets for i in range(1, buckets)]
     bounds = keys.agg(F.percentile_approx("cell_id", fractions, 10_000).alias("bounds")).scalar()
-    bucketed = keys.withColumn("bounds", bounds).select("cell_id", F.size(F.filter("bounds", lambda b: b < F.col("cell_id"))).alias("bucket"))
+    bucketed = keys.withColumn("bounds", bounds).select("cell_id", *carry, F.size(F.filter("bounds", lambda b: b < F.col("cell_id"))).alias("bucket"))
     counts = bucketed.groupBy("bucket").agg(F.count("*").alias("c"))  # at most ``buckets`` rows
     before = counts.select("bucket", (F.sum("c").over(Window.orderBy("bucket")) - F.col("c")).alias("before"))
     inside = F.row_number().over(Window.partitionBy("bucket").orderBy("cell_id"))
-    return bucketed.withColumn("r", inside).join(F.broadcast(before), "bucket").select("cell_id", (F.col("before") + F.col("r")).cast("long").alias("pos"))
+    return bucketed.withColumn("r", inside).join(F.broadcast(before), "bucket").select("cell_id", (F.col("before") + F.col("r")).cast("long").alias("pos"), *carry)
 
 
 def lattice(spark: SparkSession, shape: tuple[int, int, int]) -> DataFrame:

@@ -33,6 +33,11 @@ def block_totals(weights: DataFrame, block: int) -> DataFrame:
     return weights.groupBy(F.expr(f"(pos - 1) div {block}").alias("block")).agg(F.sum("weight").alias("block_sum"), F.count("*").alias("block_n"))
 
 
+def line_totals(weights: DataFrame, block: int = BLOCK) -> DataFrame:
+    """One row: n, total (0 for an empty line), from the block totals that the scan shuffles anyway: that exchange is used again."""
+    return block_totals(weights, block).agg(F.coalesce(F.sum("block_n"), F.lit(0)).alias("n"), F.coalesce(F.sum("block_sum"), F.lit(0)).alias("total"))
+
+
 def block_offsets(totals: DataFrame, levels: int = 1, block: int = BLOCK) -> DataFrame:
     """(block, before, total, n): exclusive scan of the block totals, in one small task or again by blocks."""
     if levels > 1:

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.balance import METHODS
+from ..operators.maps import cuts_to_map
 from ..sources.bindings import BAND_DAYS, DAY_ZERO, DAYS, ship_day
 from ..sources.tables import table
 from .trigger import Rule, StepState, transition
@@ -36,9 +37,7 @@ def fan_weights_of(days: DataFrame, steps: list[int], stretch: float = 2.0, base
 
 def step_loads(weights: DataFrame, cuts: DataFrame) -> DataFrame:
     """(step, load): slowest slot of each step of ``weights`` (step, pos, weight) under one cut vector."""
-    bounds = cuts.agg(F.array_sort(F.collect_list("b")).alias("b")).scalar()  # P + 1 numbers
-    placed = weights.withColumn("b", bounds).select("step", F.expr("size(filter(b, x -> x < pos)) - 1").alias("slot"), "weight")
-    return placed.groupBy("step", "slot").agg(F.sum("weight").alias("load")).groupBy("step").agg(F.max("load").alias("load"))
+    return cuts_to_map(weights, cuts).groupBy("step", "slot").agg(F.sum("weight").alias("load")).groupBy("step").agg(F.max("load").alias("load"))
 
 
 @dataclass

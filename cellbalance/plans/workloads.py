@@ -144,7 +144,7 @@ def cap_of(times: tuple[int, int]) -> int:
 
 def fan_speedup_hybrid(spark: SparkSession, d: str) -> DataFrame:
     """Hybrid, rebalanced at each step, under the loose and the tight cap, against the uniform split."""
-    uniform = _traced(spark, d, lambda w: cut.cuts_uniform(w, P))
+    uniform = simulate.step_loads(simulate.fan_weights_of(simulate.fan_days(spark, d), list(FAN_STEPS)), cut.cuts_uniform(spark.range(DAYS), P)).select(F.col("load").alias("step"))
     return union(_ratio(uniform, _traced(spark, d, lambda w, c=c: bal.balance_hybrid(w, P, cap=c)), cap=c) for c in map(cap_of, (XEON_CAP, TIGHT_CAP)))
 
 
@@ -161,8 +161,9 @@ def fan_speedup_peer(spark: SparkSession, d: str) -> DataFrame:
     c = cap_of(BGQ_CAP)
     once = bal.balance_peer(_fan(spark, d, 0), P, cap=c)
     # the cuts of step 0 are P + 1 numbers, the same for all steps: one plan for the whole trace
-    trace = simulate.step_loads(simulate.fan_weights_of(simulate.fan_days(spark, d), list(FAN_STEPS)), once)
-    return _ratio(_traced(spark, d, lambda w: cut.cuts_uniform(w, P)), trace.select(F.col("load").alias("step")), cap=c)
+    moving = simulate.fan_weights_of(simulate.fan_days(spark, d), list(FAN_STEPS))
+    trace = lambda cuts: simulate.step_loads(moving, cuts).select(F.col("load").alias("step"))
+    return _ratio(trace(cut.cuts_uniform(spark.range(DAYS), P)), trace(once), cap=c)
 
 
 def fan_speedup_peer_sql() -> str:

@@ -48,7 +48,7 @@ def _sized(cells: str, key: str, size: str, plus: int):
 
     def build(spark: SparkSession, d: str) -> DataFrame:
         t = table(spark, d, cells).select(F.col(key).alias("cell_id"), (F.expr(size) + plus).cast("long").alias("weight"))
-        return dense_pos(t, "cell_id").join(t, "cell_id").select("pos", "weight")
+        return dense_pos(t, "cell_id", carry=("weight",)).select("pos", "weight")
 
     return build, f"select row_number() over (order by {key}) as pos, cast({size} + {plus} as bigint) as weight from {cells}"
 
@@ -58,7 +58,7 @@ def _counted(rows: str, key: str, plus: int):
 
     def build(spark: SparkSession, d: str) -> DataFrame:
         t = table(spark, d, rows).groupBy(F.col(key).alias("cell_id")).agg((F.count("*") + plus).cast("long").alias("weight"))
-        return dense_pos(t, "cell_id").join(t, "cell_id").select("pos", "weight")
+        return dense_pos(t, "cell_id", carry=("weight",)).select("pos", "weight")
 
     return build, f"select row_number() over (order by {key}) as pos, cast(c + {plus} as bigint) as weight from (select {key}, count(*) as c from {rows} group by 1)"
 
