@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..operators import balance as bal
 from ..operators import cuts as cut
-from ..operators import maps, measures, migrate, ordering, particles, weights
+from ..operators import many, maps, measures, migrate, ordering, particles, weights
 from ..sources.bindings import BAND_DAYS, BINDINGS, DAY_ZERO, DAYS
 from ..sources.tables import table
 from . import oracle as sql
@@ -185,29 +185,54 @@ def fan_closed_loop(spark: SparkSession, d: str) -> DataFrame:
 SCALES = (4, 16, 64, 256, 1024)
 
 
+#: A hundred steps, balanced every ten: the cloud moves one cell to the right a step, around the slice's end.
+EVERY, REBALANCINGS = 10, 10
+
+
 def weak_scaling(spark: SparkSession, d: str, per_slot: int, cap: int) -> DataFrame:
-    """(p, n, method, step, most_cells, moved): slices of the orders line with a fixed number of cells per slot."""
-    line = BINDINGS["orders"].weights(spark, d)
+    """(p, n, method, step, stale, fresh, most_cells, moved): slices of the orders line with a fixed number of cells per slot.
+
+    Each of the ten rebalancings starts from the cuts of the one before, the first from uniform ones. All scales and
+    rebalancings are lines of one plan for each method.
+    """
+    line = BINDINGS["orders"].weights(spark, d).filter(F.col("pos") <= per_slot * max(SCALES))
+    p, r = F.explode(F.array(*map(F.lit, SCALES))), F.explode(F.sequence(F.lit(1), F.lit(REBALANCINGS)))
+    each = line.withColumn("p", p).filter(F.col("pos") <= per_slot * F.col("p")).withColumn("r", r)
+    shifted = ((F.col("pos") - 1 + EVERY * F.col("r")) % (per_slot * F.col("p")) + 1).cast("long")
+    cells = each.select(F.struct("p", "r").alias("line"), "p", shifted.alias("pos"), "weight")
+    scan = many.scan_many(cells)
+    uniform = many.uniform_many(many.lines_of(scan).filter("line.r = 1"))
     rows = []
-    for p in SCALES:
-        w = line.filter(F.col("pos") <= per_slot * p)
-        old = maps.cuts_to_map(w, cut.cuts_uniform(w, p)).select("pos", "slot")
-        for m in ("single_site", "peer"):
-            cuts = bal.METHODS[m](w, p, cap=cap)
-            loads = measures.slot_loads(w, cuts).agg(F.max("load").alias("step"), F.max("cells").alias("most_cells"), F.sum("cells").cast("long").alias("n"))
-            moved = migrate.transfer_plan(old, maps.cuts_to_map(w, cuts).select("pos", "slot")).agg(F.count("*").alias("moved"))
-            rows.append(loads.select(F.lit(p).alias("p"), "n", F.lit(m).alias("method"), "step", "most_cells", moved.scalar().alias("moved")))
+    for m, cut_all in many.METHODS.items():
+        fresh = cut_all(scan, cap)
+        later = fresh.filter(F.col("line.r") < REBALANCINGS).withColumn("line", F.struct(F.col("line.p").alias("p"), (F.col("line.r") + 1).alias("r")))
+        old = uniform.unionByName(later)
+        worst = many.loads_many(cells, fresh).groupBy("line").agg(F.max("load").alias("fresh"), F.max("cells").alias("most_cells"), F.sum("cells").cast("long").alias("n"))
+        before = many.loads_many(cells, old).groupBy("line").agg(F.max("load").alias("stale"))
+        joined = worst.join(before, "line").join(many.stays_many(old, fresh), "line")
+        rows.append(joined.select(F.col("line.p").alias("p"), "n", F.lit(m).alias("method"), (F.col("line.r") * EVERY).alias("step"), "stale", "fresh", "most_cells", (F.col("n") - F.col("stays")).alias("moved")))
     return union(rows)
 
 
 def weak_scaling_sql(per_slot: int, cap: int) -> str:
-    parts = []
-    for p in SCALES:
-        w = f"select * from ({BINDINGS['orders'].sql}) where pos <= {per_slot * p}"
-        for m in ("single_site", "peer"):
-            c = sql.cuts(m, w, p, cap)
-            parts.append(f"select {p} as p, cast(sum(cells) as bigint) as n, '{m}' as method, max(load) as step, max(cells) as most_cells, (select count(*) from ({sql.transfer_plan(w, sql.cuts('uniform', w, p), c)})) as moved from ({sql.loads(w, c)})")
-    return " union all ".join(parts)
+    return f"""with recursive base as materialized (select * from ({BINDINGS['orders'].sql}) where pos <= {per_slot * max(SCALES)}),
+        w as materialized (select p, r, (pos - 1 + {EVERY} * r) % ({per_slot} * p) + 1 as pos, weight from base, (select unnest({list(SCALES)}) as p), (select unnest(range(1, {REBALANCINGS + 1})) as r) where pos <= {per_slot} * p),
+        sc as materialized (select *, sum(weight) over (partition by p, r order by pos) as s, sum(weight) over (partition by p, r) as t, count(*) over (partition by p, r) as n from w),
+        slots as (select p, r, n, t, unnest(range(0, p + 1)) as k from (select distinct p, r, n, t from sc)),
+        hit as (select p, r, k, min(pos) as pos from slots join sc using (p, r) where sc.s * p > k * sc.t and k between 1 and p - 1 group by p, r, k),
+        nearest as (select p, r, k, case when 2 * k * t < p * (2 * s - weight) then pos - 1 else pos end as b from hit join sc using (p, r, pos) union all select p, r, k, case when k = 0 then 0 else n end from slots where k = 0 or k = p),
+        quotient as (select p, r, k, case when k = 0 then 0 when k = p then max(sc.n) else count(*) filter (where s * p < k * sc.t + p) end as b from slots join sc using (p, r) group by p, r, k),
+        plain as materialized (select 'single_site' as method, * from nearest union all select m, quotient.* from quotient, (select unnest(['peer', 'hybrid']) as m)),
+        capped(method, p, r, k, b) as (select method, p, r, k, cast(b as bigint) from plain where k = 0 union all
+            select c.method, c.p, c.r, c.k, least(cast(c.b as bigint), x.b + case when c.k = c.p then cast(4611686018427387904 as bigint) else {cap} end) from capped x join plain c on c.method = x.method and c.p = x.p and c.r = x.r and c.k = x.k + 1),
+        force as (select method, p, r, k, b, 'fresh' as age from capped union all select method, p, r + 1, k, b, 'stale' from capped where r < {REBALANCINGS} union all
+            select m, p, r, k, (k * n) // p, 'stale' from slots, (select unnest(['single_site', 'peer', 'hybrid']) as m) where r = 1),
+        span as (select *, lead(b) over (partition by age, method, p, r order by k) as e from force),
+        placed as materialized (select age, method, p, r, k, pos, weight from span join w using (p, r) where pos > b and pos <= e),
+        loads as (select age, method, p, r, k, sum(weight) as load, count(*) as cells from placed group by all),
+        moved as (select x.method, x.p, x.r, count(*) filter (where x.k <> y.k) as moved from placed x join placed y on x.age = 'fresh' and y.age = 'stale' and x.method = y.method and x.p = y.p and x.r = y.r and x.pos = y.pos group by all)
+        select p, cast(sum(cells) filter (where age = 'fresh') as bigint) as n, method, cast(r * {EVERY} as integer) as step, cast(max(load) filter (where age = 'stale') as bigint) as stale, cast(max(load) filter (where age = 'fresh') as bigint) as fresh,
+            max(cells) filter (where age = 'fresh') as most_cells, any_value(moved) as moved from loads join moved using (method, p, r) group by p, method, r"""
 
 
 #: Published seconds of one rebalancing and of one step, by machine and method (fixed values).
