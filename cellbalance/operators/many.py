@@ -95,16 +95,16 @@ def hybrid_many(scan: DataFrame, cap: int | None = None) -> DataFrame:
 METHODS = {"single_site": single_site_many, "peer": peer_many, "hybrid": hybrid_many}
 
 
-def loads_many(cells: DataFrame, cuts: DataFrame, block: int = 64) -> DataFrame:
-    """(line, slot, cells, load) of the slots that hold cells; ``line`` of the cuts and of the cells alike."""
-    spans = cuts.select("line", F.col("k").alias("slot"), (F.col("b") + 1).alias("lo"), F.lead("b").over(Window.partitionBy("line").orderBy("k")).alias("hi")).filter("hi >= lo")
+def loads_many(cells: DataFrame, cuts: DataFrame, by: tuple[str, ...] = (), block: int = 64) -> DataFrame:
+    """(line, *by, slot, cells, load) of the slots that hold cells; columns ``by`` tell several cut vectors of a line apart."""
+    spans = cuts.select("line", *by, F.col("k").alias("slot"), (F.col("b") + 1).alias("lo"), F.lead("b").over(Window.partitionBy("line", *by).orderBy("k")).alias("hi")).filter("hi >= lo")
     keyed = spans.withColumn("block", F.explode(F.expr(f"sequence((lo - 1) div {block}, (hi - 1) div {block})")))
     placed = cells.withColumn("block", F.expr(f"(pos - 1) div {block}")).join(keyed, ["line", "block"]).filter("pos between lo and hi")
-    return placed.groupBy("line", "slot").agg(F.count("*").alias("cells"), F.sum("weight").alias("load"))
+    return placed.groupBy("line", *by, "slot").agg(F.count("*").alias("cells"), F.sum("weight").alias("load"))
 
 
-def stays_many(old: DataFrame, new: DataFrame) -> DataFrame:
-    """(line, stays): cells that keep their slot, from two cut vectors a line; no cell is read."""
-    span = lambda cuts, c: cuts.select("line", "k", F.col("b").alias(f"{c}_lo"), F.lead("b").over(Window.partitionBy("line").orderBy("k")).alias(f"{c}_hi"))
+def stays_many(old: DataFrame, new: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """(line, *by, stays): cells that keep their slot, from two cut vectors a line; no cell is read."""
+    span = lambda cuts, c: cuts.select("line", *by, "k", F.col("b").alias(f"{c}_lo"), F.lead("b").over(Window.partitionBy("line", *by).orderBy("k")).alias(f"{c}_hi"))
     shared = F.greatest(F.lit(0), F.least("o_hi", "n_hi") - F.greatest("o_lo", "n_lo"))
-    return span(old, "o").join(span(new, "n"), ["line", "k"]).filter("o_hi is not null").groupBy("line").agg(F.sum(shared).cast("long").alias("stays"))
+    return span(old, "o").join(span(new, "n"), ["line", *by, "k"]).filter("o_hi is not null").groupBy("line", *by).agg(F.sum(shared).cast("long").alias("stays"))

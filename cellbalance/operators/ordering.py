@@ -165,7 +165,7 @@ def spectral_order(edges: DataFrame, cells: DataFrame, leaf: int = LEAF_CELLS, i
     spark = cells.sparkSession
     parts = cells.select("cell_id").withColumn("part", F.lit("")).withColumn("before", F.lit(0).cast("long")).withColumn("prior", F.lit(None).cast("double"))
     sizes = parts.count()
-    save = checkpoint or _checkpointer(spark)
+    save = checkpoint or checkpointer(spark)
     both = save(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))))
     while sizes > leaf:
         parts = save(_split_level(parts, both, leaf, iterations, save))
@@ -183,7 +183,7 @@ def spectral_order(edges: DataFrame, cells: DataFrame, leaf: int = LEAF_CELLS, i
     return rows.groupBy("part").applyInPandas(finish, "cell_id long, pos long")
 
 
-def _checkpointer(spark: SparkSession):
+def checkpointer(spark: SparkSession):
     where = spark.conf.get("spark.checkpoint.dir", None)
     if where is None and spark.sparkContext.master.startswith("local["):
         import tempfile

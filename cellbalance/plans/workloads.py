@@ -192,8 +192,8 @@ EVERY, REBALANCINGS = 10, 10
 def weak_scaling(spark: SparkSession, d: str, per_slot: int, cap: int) -> DataFrame:
     """(p, n, method, step, stale, fresh, most_cells, moved): slices of the orders line with a fixed number of cells per slot.
 
-    Each of the ten rebalancings starts from the cuts of the one before, the first from uniform ones. All scales and
-    rebalancings are lines of one plan for each method.
+    Each of the ten rebalancings starts from the cuts of the one before, the first from uniform ones. All scales,
+    rebalancings and methods are one plan, and cells meet all cut vectors in one join. The slice must be full.
     """
     line = BINDINGS["orders"].weights(spark, d).filter(F.col("pos") <= per_slot * max(SCALES))
     p, r = F.explode(F.array(*map(F.lit, SCALES))), F.explode(F.sequence(F.lit(1), F.lit(REBALANCINGS)))
@@ -201,17 +201,17 @@ def weak_scaling(spark: SparkSession, d: str, per_slot: int, cap: int) -> DataFr
     shifted = ((F.col("pos") - 1 + EVERY * F.col("r")) % (per_slot * F.col("p")) + 1).cast("long")
     cells = each.select(F.struct("p", "r").alias("line"), "p", shifted.alias("pos"), "weight")
     scan = many.scan_many(cells)
-    uniform = many.uniform_many(many.lines_of(scan).filter("line.r = 1"))
-    rows = []
-    for m, cut_all in many.METHODS.items():
-        fresh = cut_all(scan, cap)
-        later = fresh.filter(F.col("line.r") < REBALANCINGS).withColumn("line", F.struct(F.col("line.p").alias("p"), (F.col("line.r") + 1).alias("r")))
-        old = uniform.unionByName(later)
-        worst = many.loads_many(cells, fresh).groupBy("line").agg(F.max("load").alias("fresh"), F.max("cells").alias("most_cells"), F.sum("cells").cast("long").alias("n"))
-        before = many.loads_many(cells, old).groupBy("line").agg(F.max("load").alias("stale"))
-        joined = worst.join(before, "line").join(many.stays_many(old, fresh), "line")
-        rows.append(joined.select(F.col("line.p").alias("p"), "n", F.lit(m).alias("method"), (F.col("line.r") * EVERY).alias("step"), "stale", "fresh", "most_cells", (F.col("n") - F.col("stays")).alias("moved")))
-    return union(rows)
+    by = ("method",)
+    # a cut vector has p + 1 rows and is read four times below: it is written once, so that no scan runs again
+    fresh = ordering.checkpointer(spark)(union(cut_all(scan, cap).withColumn("method", F.lit(m)) for m, cut_all in many.METHODS.items()))
+    first = many.uniform_many(spark.createDataFrame([((q, 1), q, per_slot * q) for q in SCALES], "line struct<p: int, r: int>, p int, n long"))
+    later = fresh.filter(F.col("line.r") < REBALANCINGS).withColumn("line", F.struct(F.col("line.p").alias("p"), (F.col("line.r") + 1).alias("r")))
+    old = later.unionByName(first.withColumn("method", F.explode(F.array(*map(F.lit, many.METHODS)))))
+    loads = many.loads_many(cells, union(c.withColumn("age", F.lit(a)) for a, c in (("fresh", fresh), ("stale", old))), ("method", "age"))
+    of = lambda column, age: F.when(F.col("age") == age, F.col(column))
+    worst = loads.groupBy("line", *by).agg(F.max(of("load", "stale")).alias("stale"), F.max(of("load", "fresh")).alias("fresh"), F.max(of("cells", "fresh")).alias("most_cells"), F.sum(of("cells", "fresh")).cast("long").alias("n"))
+    joined = worst.join(many.stays_many(old, fresh, by), ["line", *by])
+    return joined.select(F.col("line.p").alias("p"), "n", "method", (F.col("line.r") * EVERY).alias("step"), "stale", "fresh", "most_cells", (F.col("n") - F.col("stays")).alias("moved"))
 
 
 def weak_scaling_sql(per_slot: int, cap: int) -> str:
