@@ -15,7 +15,7 @@ from .operators import balance as bal
 from .operators import cuts as cut
 from .operators import maps, measures, migrate, ordering, particles, scan, weights
 from .plans import oracle as sql
-from .plans import simulate, trigger, workloads
+from .plans import simulate, steps, trigger, workloads
 from .sources.bindings import BAND_DAYS, BINDINGS, DAY_ZERO, DAYS, ship_day
 from .sources.tables import event_stream, table
 from .streaming import triggers as streams
@@ -279,7 +279,17 @@ def _(spark, d):
     return maps.check_map(maps.cuts_to_map(w, bal.balance_single_site(w, 16)), 16, cap=w.count())
 
 
-@register("optimal_cuts_fan")
+def _optimal_sql(weights_sql: str, p: int) -> str:
+    """The smallest possible slowest slot by dynamic programming over slots; the cuts fill each slot as far as that allows."""
+    best = ["b1 as materialized (select pos, s as worst from sc)"]
+    best += [f"b{k} as materialized (select y.pos, min(greatest(x.worst, y.s - z.s)) as worst from sc y join sc z on z.pos <= y.pos join b{k - 1} x on x.pos = z.pos group by y.pos)" for k in range(2, p + 1)]
+    return f"""with recursive sc as materialized (select pos, s from ({sql.scan(weights_sql)}) union all select 0, 0), {", ".join(best)},
+        most as materialized (select worst from b{p} where pos = (select max(pos) from sc)),
+        r(k, b) as (select 0, cast(0 as bigint) union all select k + 1, (select max(pos) from sc where s <= (select worst from most) + (select s from sc h where h.pos = r.b)) from r where k < {p - 1})
+        select cast(k as integer) as k, b from r union all select {p}, (select max(pos) from sc)"""
+
+
+@register("optimal_cuts_fan", _optimal_sql(BINDINGS["fan"].sql, 16))
 def _(spark, d):
     return bal.cuts_optimal(_w("fan", spark, d), 16)
 
@@ -520,6 +530,9 @@ register("speedup_fan", workloads.speedup_sql())(workloads.speedup_fan)
 register("fan_speedup_hybrid", workloads.fan_speedup_hybrid_sql())(workloads.fan_speedup_hybrid)
 register("fan_speedup_peer", workloads.fan_speedup_peer_sql())(workloads.fan_speedup_peer)
 register("fan_closed_loop")(workloads.fan_closed_loop)
+register("whole_loop_fan", steps.whole_loop_sql())(steps.whole_loop)
+register("same_physics_fan", steps.same_physics_sql())(steps.same_physics)
+register("overhead_stages_fan")(steps.overhead_stages)
 register("weak_scaling_xeon", workloads.weak_scaling_sql(4, 16))(lambda spark, d: workloads.weak_scaling(spark, d, 4, 16))
 register("weak_scaling_bgq", workloads.weak_scaling_sql(2, 8))(lambda spark, d: workloads.weak_scaling(spark, d, 2, 8))
 register("overhead_steps", workloads.overhead_steps_sql())(workloads.overhead_steps)

@@ -193,18 +193,19 @@ def weak_scaling(spark: SparkSession, d: str, per_slot: int, cap: int) -> DataFr
     """(p, n, method, step, stale, fresh, most_cells, moved): slices of the orders line with a fixed number of cells per slot.
 
     Each of the ten rebalancings starts from the cuts of the one before, the first from uniform ones. All scales,
-    rebalancings and methods are one plan, and cells meet all cut vectors in one join. The slice must be full.
+    rebalancings and methods are one plan, and cells meet all cut vectors in one join. Scales whose slice the table can't fill are left out.
     """
     line = BINDINGS["orders"].weights(spark, d).filter(F.col("pos") <= per_slot * max(SCALES))
     p, r = F.explode(F.array(*map(F.lit, SCALES))), F.explode(F.sequence(F.lit(1), F.lit(REBALANCINGS)))
-    each = line.withColumn("p", p).filter(F.col("pos") <= per_slot * F.col("p")).withColumn("r", r)
+    cells_there = table(spark, d, "orders").agg(F.count("*")).scalar()
+    each = line.withColumn("p", p).filter((F.col("pos") <= per_slot * F.col("p")) & (per_slot * F.col("p") <= cells_there)).withColumn("r", r)
     shifted = ((F.col("pos") - 1 + EVERY * F.col("r")) % (per_slot * F.col("p")) + 1).cast("long")
     cells = each.select(F.struct("p", "r").alias("line"), "p", shifted.alias("pos"), "weight")
     scan = many.scan_many(cells)
     by = ("method",)
     # a cut vector has p + 1 rows and is read four times below: it is written once, so that no scan runs again
     fresh = ordering.checkpointer(spark)(union(cut_all(scan, cap).withColumn("method", F.lit(m)) for m, cut_all in many.METHODS.items()))
-    first = many.uniform_many(spark.createDataFrame([((q, 1), q, per_slot * q) for q in SCALES], "line struct<p: int, r: int>, p int, n long"))
+    first = many.uniform_many(spark.createDataFrame([((q, 1), q, per_slot * q) for q in SCALES], "line struct<p: int, r: int>, p int, n long").filter(F.col("n") <= cells_there))
     later = fresh.filter(F.col("line.r") < REBALANCINGS).withColumn("line", F.struct(F.col("line.p").alias("p"), (F.col("line.r") + 1).alias("r")))
     old = later.unionByName(first.withColumn("method", F.explode(F.array(*map(F.lit, many.METHODS)))))
     loads = many.loads_many(cells, union(c.withColumn("age", F.lit(a)) for a, c in (("fresh", fresh), ("stale", old))), ("method", "age"))
@@ -216,7 +217,7 @@ def weak_scaling(spark: SparkSession, d: str, per_slot: int, cap: int) -> DataFr
 
 def weak_scaling_sql(per_slot: int, cap: int) -> str:
     return f"""with recursive base as materialized (select * from ({BINDINGS['orders'].sql}) where pos <= {per_slot * max(SCALES)}),
-        w as materialized (select p, r, (pos - 1 + {EVERY} * r) % ({per_slot} * p) + 1 as pos, weight from base, (select unnest({list(SCALES)}) as p), (select unnest(range(1, {REBALANCINGS + 1})) as r) where pos <= {per_slot} * p),
+        w as materialized (select p, r, (pos - 1 + {EVERY} * r) % ({per_slot} * p) + 1 as pos, weight from base, (select unnest({list(SCALES)}) as p), (select unnest(range(1, {REBALANCINGS + 1})) as r) where pos <= {per_slot} * p and {per_slot} * p <= (select count(*) from orders)),
         sc as materialized (select *, sum(weight) over (partition by p, r order by pos) as s, sum(weight) over (partition by p, r) as t, count(*) over (partition by p, r) as n from w),
         slots as (select p, r, n, t, unnest(range(0, p + 1)) as k from (select distinct p, r, n, t from sc)),
         hit as (select p, r, k, min(pos) as pos from slots join sc using (p, r) where sc.s * p > k * sc.t and k between 1 and p - 1 group by p, r, k),
