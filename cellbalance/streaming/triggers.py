@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -36,12 +37,21 @@ def adaptive_stream(events: DataFrame, rule: Rule, run: str = "event_type") -> D
     return keyed.groupBy("run_id").applyInPandasWithState(update, DECISIONS, _STATE, "append", GroupStateTimeout.NoTimeout)
 
 
-def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """All that a finite stream yields, as a batch table."""
-    name = "stream_" + uuid.uuid4().hex
-    query = stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
+def shared_path(spark: SparkSession) -> str:
+    """A new path in the cluster's shared folder; in a temporary one for local sessions without it."""
+    where = spark.conf.get("spark.checkpoint.dir", None)
+    if where is None and not spark.sparkContext.master.startswith("local["):
+        raise RuntimeError("spark.checkpoint.dir is unset: name a folder that all executors share")
+    return f"{where or tempfile.mkdtemp(prefix='stream-')}/stream-{uuid.uuid4().hex}"
+
+
+def drained(stream: DataFrame) -> DataFrame:
+    """All that a finite stream yields, as a table in the shared folder: nothing passes through the driver, and the query's own
+    checkpoint beside it lets a restarted one go on where it stopped."""
+    where = shared_path(stream.sparkSession)
+    query = stream.writeStream.format("parquet").option("checkpointLocation", f"{where}/state").trigger(availableNow=True).start(f"{where}/rows")
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{where}/rows")
 
 
 def adaptive_events(spark: SparkSession, sf_dir: str, rule: Rule) -> DataFrame:

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -22,14 +21,6 @@ from .streaming import triggers as streams
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
 
-def _shared(spark: SparkSession) -> str:
-    """The shared folder; a temporary one for local sessions without it."""
-    where = spark.conf.get("spark.checkpoint.dir", None)
-    if where is None and not spark.sparkContext.master.startswith("local["):
-        raise RuntimeError("spark.checkpoint.dir is unset: name a folder that all executors share")
-    return f"{where or tempfile.mkdtemp(prefix='shared-')}/{uuid.uuid4().hex}"
-
-
 @register("op_scan_counts", " union all ".join(f"select '{t}' as name, count(*) as n from {t}" for t in TABLES))
 def _(spark, d):
     out = None
@@ -41,7 +32,7 @@ def _(spark, d):
 
 @register("op_roundtrip_cuts", _PEER_ORD)
 def _(spark, d):
-    path = _shared(spark)
+    path = streams.shared_path(spark)
     write_cuts(bal.balance_peer(_w("orders", spark, d), 16), path, 3)
     return read_cuts(spark, path, 3)
 
@@ -247,7 +238,13 @@ def _(spark, d):
     return out.select(F.date_format("start", "yyyy-MM-dd").alias("start"), "n")
 
 
-@register("op_stream_session")
+_SESSIONS = """select user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') as start, count(*) as n
+    from (select *, sum(fresh) over (partition by user_id order by ts, event_id) as part
+        from (select *, case when ts < lag(ts) over (partition by user_id order by ts, event_id) + interval 12 hours then 0 else 1 end as fresh from events))
+    group by user_id, part having max(ts) + interval 12 hours <= (select max(ts) - interval 1 hour from events)"""
+
+
+@register("op_stream_session", _SESSIONS)
 def _(spark, d):
     out = streams.drained(streams.sessions(event_stream(spark, d)))
     return out.select("user_id", F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
