@@ -10,6 +10,10 @@ TABLES = "region nation customer supplier part orders lineitem events documents
 SOME = "w_orders w_fan total_identity order_morton line_locality scan_two_levels_orders single_site_orders peer_supplier hybrid_cap_fan strict_cap_fan first_cells_orders transfer_ranges_orders transfer_matrix_fan shared_faces_grid interp_polynomial adaptive_events_type adaptive_stream_type prism_expand op_stream_tumbling op_udtf_cuts op_sql_peer".split()
 
 
+#: These read their data from a given table, not from the code.
+TABLED = "adaptive_drift".split()
+
+
 @pytest.fixture(scope="module")
 def duck():
     c = duckdb.connect()
@@ -30,5 +34,14 @@ def test_query(spark, duck, name):
     assert rows(df.columns, map(tuple, df.collect())) == rows(want.columns, want.fetchall())
 
 
+@pytest.mark.parametrize("name", TABLED)
+def test_reads_a_table(spark, duck, name):
+    df = entry.queries()[name](spark, SF)
+    assert df.inputFiles()
+    want = duck.sql(entry.oracle_sql()[name])
+    got = df.collect()
+    assert got and rows(df.columns, map(tuple, got)) == rows(want.columns, want.fetchall())
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() == 16
