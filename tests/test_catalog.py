@@ -11,7 +11,7 @@ SOME = "w_orders w_fan total_identity order_morton line_locality scan_two_levels
 
 
 #: These read their data from a given table, not from the code.
-TABLED = "adaptive_drift adaptive_vs_fixed".split()
+TABLED = "adaptive_drift adaptive_vs_fixed example_peer".split()
 
 
 @pytest.fixture(scope="module")
