@@ -11,7 +11,7 @@ SOME = "w_orders w_fan total_identity order_morton line_locality scan_two_levels
 
 
 #: These read their data from a given table, not from the code.
-TABLED = "adaptive_drift adaptive_vs_fixed example_peer example_single_site example_transfer fan_velocity fluid_cost ideal_interval_drift line_locality never_events op_sweep_grid".split()
+TABLED = "adaptive_drift adaptive_vs_fixed example_peer example_single_site example_transfer fan_velocity fluid_cost ideal_interval_drift line_locality never_events op_sweep_grid op_udf_bary".split()
 
 
 @pytest.fixture(scope="module")
