@@ -66,6 +66,19 @@ def test_worked_example(spark):
         assert b_of(balance.METHODS[method](w, 3, cap=4, strict=True)) == [0, 4, 8, 12]
 
 
+def test_full_map_is_not_copied_to_every_site(spark):
+    w = spark.range(1, 1001).selectExpr("id as pos", "id % 7 + 3 as weight")
+    held = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")  # leaves just those that are asked for
+    try:
+        mapped = balance.share_full_map(w, 8)
+        assert "BroadcastHashJoin [pos" not in mapped._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", held)
+    want = {(r["pos"], r["weight"], r["slot"]) for r in balance.rebalance(w, 8, "peer").collect()}
+    assert {tuple(r) for r in mapped.collect()} == want
+
+
 @pytest.mark.parametrize(
     "weights, p, single, peer",
     [
