@@ -1,6 +1,6 @@
 """Quality classifier: perplexity under a Kneser-Ney model of trusted text, thresholded by quantiles of each language.
 
-Trusted documents are those labelled quality 1, a sample of at most ``MAX_TRUSTED`` (see common). The half of them with an even crc32 of the id trains the model; the other
+Trusted documents are all those labelled quality 1. The half of them with an even crc32 of the id trains the model; the other
 half, which the model has not seen, gives each language its threshold: the ``QUANTILE`` of their mean log10 perplexity plus
 ``MARGIN``, and plus ``SHORT / sqrt(tokens)``, as the mean of a few tokens strays more. A document above it is rejected. Counts lie in hash shards and documents are joined to
 them shard by shard (see language_model).
@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_sample, documents, table
+from .common import documents, table
 from .language_model import score, train
 
 QUANTILE = 0.99
@@ -26,14 +26,14 @@ FEW = 20
 
 def _judged(docs: DataFrame, trusted: DataFrame, keep_text: bool) -> DataFrame:
     """The columns of ``docs`` and __n_tokens, __log_perplexity, __threshold, __kept."""
-    ids = table(bounded_sample(trusted), "trusted")
+    ids = table(trusted.select(F.col("doc_id").cast("long").alias("doc_id")).filter("doc_id is not null").distinct(), "trusted")
     even = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 2 == 0
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
-    model = train(rows.join(F.broadcast(ids.filter(even)), "doc_id", "left_semi"), "trusted-lm")
+    model = train(rows.join(ids.filter(even), "doc_id", "left_semi"), "trusted-lm")
     log_perplexity = -F.col("__score") / F.col("__n_tokens")
-    second = score(rows.join(F.broadcast(ids.filter(~even)), "doc_id", "left_semi"), model, prefix="__").select("lang", log_perplexity.alias("p"))
+    second = score(rows.join(ids.filter(~even), "doc_id", "left_semi"), model, prefix="__").select("lang", log_perplexity.alias("p"))
     level = F.percentile_approx("p", F.lit(QUANTILE), F.lit(10_000))
-    # at most MAX_TRUSTED / FEW languages, and one row (null) for all
+    # one row a language
     levels = table(second.groupBy("lang").agg(level.alias("__t"), F.count("*").alias("n")).filter((F.col("n") >= FEW) & F.col("lang").isNotNull()).select(F.col("lang").alias("__lang"), "__t"), "thresholds")
     overall = table(second.agg(level.alias("t")), "threshold")
     scored = score(docs, model, keep_text, "__").join(F.broadcast(levels), F.col("lang") == F.col("__lang"), "left")
