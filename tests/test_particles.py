@@ -59,6 +59,17 @@ def test_spectral_levels_as_joins(spark):
     assert sorted(r["pos"] for r in order.collect()) == list(range(1, 25))
 
 
+def test_spectral_order_of_thousands_of_cells_in_one_task(spark):
+    saves, n = [], 3001
+    line = spark.range(n)
+    edges = line.filter(f"id < {n - 1}").selectExpr(f"id * 977 % {n} as a", f"(id + 1) * 977 % {n} as b")
+    cells = line.selectExpr(f"id * 977 % {n} as cell_id")
+    order = ordering.spectral_order(edges, cells, checkpoint=lambda df: saves.append(df) or df)
+    assert order.filter(f"(pos - 1) * 977 % {n} <> cell_id").count() == 0 and order.count() == n
+    assert len(saves) == 1  # no step of it is a job of its own
+    assert ordering.spectral_order(edges.limit(0), cells, checkpoint=lambda df: df).select("pos").distinct().count() == n
+
+
 def test_migration(spark):
     w = spark.range(1, 41).selectExpr("id as pos", "id % 7 + 1 as weight")
     old = maps.cuts_to_map(w, cuts.cuts_uniform(w, 4)).select("pos", "slot")
